@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, discard, map_slices, raw_texts, release, saved, shingle_hashes, word_hashes
+from pipeflow.llm.common import LOWER, column, discard, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, word_hashes
 
 BINS, ROWS, ATTEMPTS = 128, 4, 48
 
