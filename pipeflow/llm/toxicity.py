@@ -1,6 +1,7 @@
 """Toxicity: a bidirectional gated recurrent network with attention pooling over word and character inputs, in numpy.
 
-A word's input is its embedding (hashed table) beside the mean embedding of its character trigrams. Two gated recurrent
+A word's input is its embedding (hashed table) beside the mean embeddings of its character trigrams and of its
+beginnings of three to six bytes; words and beginnings of fewer than `SEEN` training documents have no embedding. Two gated recurrent
 layers read a window of words from either end; attention weighs their states, and a logistic unit reads the weighted
 sum. A document is scored by all overlapping windows of its whole text; its score is the highest.
 
@@ -24,24 +25,28 @@ from pyspark.sql import functions as F
 from pipeflow.llm.common import bounded, column, map_slices, raw_texts
 
 WINDOW, STRIDE = 64, 48
-WORD_ROWS, CHAR_ROWS, EMBED, HIDDEN = 1 << 14, 1 << 12, 8, 8
+WORD_ROWS, CHAR_ROWS, EMBED, HIDDEN = 1 << 16, 1 << 12, 8, 8
+BEGIN = (3, 4, 5, 6)
+INPUTS = 3 * EMBED
 EDGE = b".,;:!?\"'()[]{}"
 #: At most so many trigrams of a word are looked up: enough for any word of a language, a bound for junk.
 TRIGRAMS = 24
-#: Standard errors by which a word must be commoner in toxic documents to mark a window; weight of toxic labels without such a word.
-TELLING, WEAK = 5.0, 0.05
+#: Standard errors by which a word must be commoner in toxic documents to mark a window, and least log-odds; documents that must hold it.
+TELLING, LEAST_ODDS, SEEN = 5.0, 1.5, 5
+#: Training goes on for so many steps at least, on however few documents.
+STEPS, DECAY = 120, 1e-3
 
 
 def word_key(word: bytes) -> bytes:
     return word.strip(EDGE).lower() or word
 
 
-def word_slots(word: bytes) -> tuple[int, list[int]]:
-    """Rows of the word table and of the trigram table. Longer words take evenly spread trigrams of the whole word."""
+def word_slots(word: bytes) -> tuple[int, list[int], list[int]]:
+    """Rows of the word table, of the trigram table and, for its beginnings, of the word table's upper half. Longer words take evenly spread trigrams of the whole word."""
     w = b"^" + word + b"$"
     n = max(len(w) - 2, 1)
     step = -(-n // TRIGRAMS)
-    return zlib.crc32(word) % WORD_ROWS, [zlib.crc32(w[i : i + 3]) % CHAR_ROWS for i in range(0, n, step)]
+    return zlib.crc32(word) % WORD_ROWS, [zlib.crc32(w[i : i + 3]) % CHAR_ROWS for i in range(0, n, step)], [WORD_ROWS + zlib.crc32(word[:k], k) % WORD_ROWS for k in BEGIN]
 
 
 def sigmoid(z):
@@ -61,14 +66,10 @@ class Network:
         def r(*shape, scale):
             return (g.standard_normal(shape) * scale).astype(np.float32)
 
-        return Network({"word": r(WORD_ROWS, EMBED, scale=0.05), "char": r(CHAR_ROWS, EMBED, scale=0.3), "x": r(2, 2 * EMBED, 3 * HIDDEN, scale=0.4), "h": r(2, HIDDEN, 3 * HIDDEN, scale=0.3), "b": np.zeros((2, 1, 3 * HIDDEN), np.float32), "att": r(2 * HIDDEN, scale=0.3), "out": r(2 * HIDDEN, scale=0.5), "bias": np.full(1, -1.0, np.float32)})
-
-    def inputs(self, word: bytes) -> np.ndarray:
-        row, grams = word_slots(word)
-        return np.concatenate([self.p["word"][row], self.p["char"][grams].mean(axis=0)])
+        return Network({"word": np.zeros((2 * WORD_ROWS, EMBED), np.float32), "char": r(CHAR_ROWS, EMBED, scale=0.1), "x": r(2, INPUTS, 3 * HIDDEN, scale=0.4), "h": r(2, HIDDEN, 3 * HIDDEN, scale=0.3), "b": np.zeros((2, 1, 3 * HIDDEN), np.float32), "att": r(2 * HIDDEN, scale=0.3), "out": r(2 * HIDDEN, scale=0.5), "bias": np.full(1, -1.0, np.float32)})
 
     def forward(self, x: np.ndarray, mask: np.ndarray, keep: bool = False):
-        """x (T, N, 2 * EMBED), mask (T, N) of real words -> logits (N,)."""
+        """x (T, N, INPUTS), mask (T, N) of real words -> logits (N,)."""
         p, H = self.p, HIDDEN
         T, N, _ = x.shape
         pre = np.stack([x, x[::-1]]).reshape(2, T * N, -1) @ p["x"] + p["b"]
@@ -130,24 +131,34 @@ def window_starts(n: int) -> np.ndarray:
     return np.append(at, n - WINDOW)
 
 
-def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[int]]], y: np.ndarray, epochs: int, rate: float, seed: int) -> None:
+def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[int], list[int]]], y: np.ndarray, epochs: int, rate: float, seed: int) -> None:
     """docs: word numbers of each document; slots: of each word number."""
     g = np.random.default_rng(seed)
-    rows = np.array([s[0] for s in slots])
+    arrays = [np.array(d, np.int64) for d in docs]
     width = max(len(s[1]) for s in slots)
     grams = np.zeros((len(slots), width), np.int64)
     share = np.zeros((len(slots), width, 1), np.float32)
-    for i, (_, c) in enumerate(slots):
+    for i, (_, c, _) in enumerate(slots):
         grams[i, : len(c)] = c
         share[i, : len(c)] = 1 / len(c)
-    arrays = [np.array(d, np.int64) for d in docs]
-    odds = _log_odds(arrays, y, len(slots))
-    # labels are noisy: a toxic document without any telling word counts for little
-    trust = np.array([1.0 if not label or (len(d) and odds[d].max() > 0) else WEAK for d, label in zip(arrays, y, strict=True)], np.float32)
+    rows = np.array([[s[0], *s[2]] for s in slots])  # the word's own row, then its beginnings'
+    seen = np.zeros(2 * WORD_ROWS, np.int64)
+    for d in arrays:
+        seen[np.unique(rows[d])] += 1
+    known = (seen[rows] >= SEEN)[:, :, None].astype(np.float32)
+    known[:, 1:] /= len(BEGIN)
+    by_row = _row_odds(arrays, y, rows)
+    odds = by_row[rows].max(axis=1)
+    network.p["word"][:, 0] = by_row / 2  # embeddings start from what counts alone say; the network learns the rest
+    # labels are noisy: a toxic document without any telling word is left out, unless all are
+    weak = 0.0 if odds.any() else 1.0
+    trust = np.array([1.0 if not label or (len(d) and odds[d].max() > 0) else weak for d, label in zip(arrays, y, strict=True)], np.float32)
     first = {k: np.zeros_like(v) for k, v in network.p.items()}
     second = {k: np.zeros_like(v) for k, v in network.p.items()}
     step = 0
-    for _ in range(epochs):
+    epoch = 0
+    while epoch < epochs or step < STEPS:
+        epoch += 1
         chosen, owner = [], []
         for i, (d, label) in enumerate(zip(arrays, y, strict=True)):
             at = window_starts(len(d))
@@ -157,7 +168,12 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
             for k in {best} if label else {best, *g.choice(at, min(2, len(at)), replace=False).tolist()}:
                 chosen.append(d[k : k + WINDOW])
                 owner.append(i)
+        # toxic windows are few: they come again, until they are a quarter of the clean ones
         owner = np.array(owner)
+        toxic = np.flatnonzero(y[owner] == 1)
+        again = np.tile(toxic, max(0, (len(owner) - len(toxic)) // (4 * max(len(toxic), 1)) - 1))
+        owner = np.concatenate([owner, owner[again]])
+        chosen += [chosen[k] for k in again]
         order = g.permutation(len(chosen))
         for i in range(0, len(order), 128):
             batch = order[i : i + 128]
@@ -165,16 +181,22 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
             mask = np.zeros((WINDOW, len(batch)), bool)
             for j, k in enumerate(batch):
                 ids[: len(chosen[k]), j], mask[: len(chosen[k]), j] = chosen[k], True
+            mask &= (g.random(ids.shape) > 0.4) | (odds[ids] > 0)  # words that go, so that no window is learnt by heart
+            mask[0] |= ~mask.any(axis=0)
             hide = g.random(ids.shape) < 0.3  # words that hide behind their characters, as unseen words do
             real = (mask & ~hide)[:, :, None]
-            w = network.p["word"][rows[ids]] * real
+            use = known[ids] * mask[:, :, None, None]
+            use[:, :, 0] *= real
+            w = network.p["word"][rows[ids]] * use
             c = (network.p["char"][grams[ids]] * share[ids]).sum(axis=2) * mask[:, :, None]
-            logits, kept = network.forward(np.concatenate([w, c], axis=2).astype(np.float32), mask, True)
+            logits, kept = network.forward(np.concatenate([w[:, :, 0], c, w[:, :, 1:].sum(axis=2)], axis=2).astype(np.float32), mask, True)
             d = ((sigmoid(logits) - y[owner[batch]]) * trust[owner[batch]] / len(batch)).astype(np.float32)
             grad, dx = network.backward(d, kept)
             gw, gc = np.zeros_like(network.p["word"]), np.zeros_like(network.p["char"])
-            np.add.at(gw, rows[ids].ravel(), (dx[:, :, :EMBED] * real).reshape(-1, EMBED))
-            dc = dx[:, :, EMBED:] * mask[:, :, None]
+            for k in range(1 + len(BEGIN)):
+                part = dx[:, :, 2 * EMBED :] if k else dx[:, :, :EMBED]
+                np.add.at(gw, rows[ids, k].ravel(), (part * use[:, :, k]).reshape(-1, EMBED))
+            dc = dx[:, :, EMBED : 2 * EMBED] * mask[:, :, None]
             for k in range(width):
                 part = share[ids, k]
                 if part.any():
@@ -183,21 +205,22 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
             step += 1
             for k, v in grad.items():
                 v = np.clip(v, -1, 1)
+                v = v + DECAY * network.p[k] if k != "word" else v
                 first[k] += 0.1 * (v - first[k])
                 second[k] += 0.001 * (v * v - second[k])
                 network.p[k] -= (rate * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.999**step)) + 1e-7)).astype(np.float32)
 
 
-def _log_odds(docs: list[np.ndarray], y: np.ndarray, n: int) -> np.ndarray:
-    """Log-odds of words that stand in toxic documents more often than chance allows, else 0."""
-    seen = np.zeros((2, n))
+def _row_odds(docs: list[np.ndarray], y: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """What a word or a beginning says for toxicity: its log-odds where it stands in toxic documents far more often than chance allows, else 0."""
+    seen = np.zeros((2, 2 * WORD_ROWS))
     for d, label in zip(docs, y, strict=True):
-        seen[int(label), np.unique(d)] += 1
+        seen[int(label), np.unique(rows[d])] += 1
     a, b = max((y == 1).sum(), 1), max((y == 0).sum(), 1)
     share = seen.sum(axis=0) / (a + b)
     z = (seen[1] / a - seen[0] / b) / np.sqrt(share * (1 - share) * (1 / a + 1 / b) + 1e-12)
     odds = np.log((seen[1] + 0.5) / (a + 1)) - np.log((seen[0] + 0.5) / (b + 1))
-    return np.where((z > TELLING) & (seen[1] >= 5), odds, 0)
+    return np.where((z > TELLING) & (odds > LEAST_ODDS) & (seen[1] >= SEEN), odds, 0)
 
 
 def fit_texts(texts: list[bytes], y: np.ndarray, epochs: int = 4, rate: float = 0.01, seed: int = 0) -> Network:
@@ -226,7 +249,7 @@ class Scorer:
 
     def __init__(self, network: Network, room: int = 200_000):
         self.network, self.room = network, room
-        self.table = np.zeros((1 << 14, 2 * EMBED), np.float32)  # row 0 is padding
+        self.table = np.zeros((1 << 14, INPUTS), np.float32)  # row 0 is padding
         self.rows: dict[bytes, int] = {}
 
     def _learn(self, words: set[bytes]) -> None:
@@ -236,12 +259,13 @@ class Scorer:
         at = len(self.rows) + 1
         need = at + len(words)
         if need > len(self.table):
-            self.table = np.concatenate([self.table, np.zeros((max(need - len(self.table), len(self.table)), 2 * EMBED), np.float32)])
+            self.table = np.concatenate([self.table, np.zeros((max(need - len(self.table), len(self.table)), INPUTS), np.float32)])
         slots = [word_slots(k) for k in keys]
-        counts = np.array([len(c) for _, c in slots])
-        grams = self.network.p["char"][np.concatenate([c for _, c in slots])]
+        counts = np.array([len(c) for _, c, _ in slots])
+        grams = self.network.p["char"][np.concatenate([c for _, c, _ in slots])]
         chars = np.add.reduceat(grams, np.concatenate([[0], np.cumsum(counts)[:-1]])) / counts[:, None]
-        x = np.concatenate([self.network.p["word"][[r for r, _ in slots]], chars], axis=1)
+        word = self.network.p["word"]
+        x = np.concatenate([word[[r for r, _, _ in slots]], chars, word[[b for _, _, b in slots]].mean(axis=1)], axis=1)
         for value, same in zip(x, keys.values(), strict=True):
             for w in same:
                 self.table[at] = value
