@@ -98,7 +98,7 @@ def base_counts(raw: bytes, n_words: int, hashes: np.ndarray) -> tuple[int, int,
 SCORED = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, kept boolean, log_ratio double"
 
 
-def apply(docs: DataFrame, model: RatioModel, threshold: float = -0.25) -> DataFrame:
+def apply(docs: DataFrame, model: RatioModel, threshold: float = -0.13) -> DataFrame:
     """One row a document: the base counts, the length-normalised log-ratio and the verdict."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
