@@ -5,11 +5,11 @@ no words: empty, linked with nothing). Documents with equal sets are one class.
 in each of `bins` bins; an empty bin borrows that of a bin drawn by a hash of (bin, attempt), the same for all
 documents. Rows of bins are banded; documents that share a band share a bucket.
 
-Within a bucket edges form stars: members are tried against the bucket's centre only, so a bucket of n members costs
-n - 1 pairs a round. Links are confirmed on full sets. Rounds go on over buckets whose members still lie in two
-components or more: each takes another centre, the member with the most confirmed links that hasn't been one there. A
-bucket closes when its members are in one component or all have been centres; the search ends when no bucket is open,
-or when `patience` rounds over all open buckets have made no link.
+Within a bucket edges form stars: members are tried against centres, not against each other, and only where the two lie
+in different components and their sizes allow a link. Links are confirmed on full sets. In the first round a bucket has
+one centre; buckets whose members still lie in two components or more go into another round with four times as many new
+centres, those with the most confirmed links first. A bucket closes when its members are in one component or all have
+been centres; the search ends when no bucket is open, or when `patience` rounds over all open buckets made no link.
 """
 
 from __future__ import annotations
@@ -17,7 +17,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pipeflow.llm.common import LOWER, column, discard, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, word_hashes
@@ -147,51 +147,52 @@ def components(edges: DataFrame) -> DataFrame:
         state = new
 
 
-def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, rows: int = ROWS, patience: int = 4) -> DataFrame:
+def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, rows: int = ROWS, patience: int = 2) -> DataFrame:
     """docs (row, text), rows distinct, not null -> row, n_shingles, component: the least row that it is linked with, directly or not."""
     made = saved(sets(docs, k, bins, rows), "sets")
     locals_ = saved(made.where("row = local and n_shingles > 0").select("row", "set_hi", "set_lo"), "locals")
     reps = saved(locals_.groupBy("set_hi", "set_lo").agg(F.min("row").alias("rep")), "reps")
     owner = saved(locals_.join(reps, ["set_hi", "set_lo"]).select(F.col("row").alias("local"), "rep"), "owner")
     chosen = owner.where("local = rep").select(F.col("local").alias("row"))
-    banded = saved(made.where("bands is not null").select("row", "bands").join(chosen, "row").select(F.col("row").alias("id"), F.explode("bands").alias("key")), "bands")
+    banded = saved(made.where("bands is not null").select("row", "n_shingles", "bands").join(chosen, "row").select(F.col("row").alias("id"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key")), "bands")
     shared = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").select("key")
-    open_ = saved(banded.join(shared, "key").withColumn("done", F.lit(False)), "buckets")
-    discard(banded)
-    discard(locals_)
-    discard(reps)
+    open_ = saved(banded.join(shared, "key").select("key", "id", "n", F.col("id").alias("comp"), F.lit(False).alias("done")), "buckets")
+    for x in (banded, locals_, reps):
+        discard(x)
     release(docs.sparkSession)
     packed = saved(full_sets(docs, open_.select("id").distinct(), k), "packed")
     links = saved(packed.select(F.col("row").alias("a"), F.col("row").alias("b")).where("false"), "links")
-    labels = links.select(F.col("a").alias("id"), F.col("b").alias("comp"))
-    degree = links.select(F.col("a").alias("id"), F.col("b").alias("links"))
-    quiet = turn = 0
+    labels = packed.select(F.col("row").alias("id"), F.col("row").alias("comp")).where("false")
+    degree = packed.select(F.col("row").alias("id"), F.col("row").alias("links")).where("false")
+    quiet, centres, turn = 0, 1, 0
     while quiet < patience and open_.limit(1).count():
-        # the centre: not yet one in this bucket, most links, then by a hash that differs by round
-        picks = open_.join(degree, "id", "left").select("key", "id", F.struct(~F.col("done"), F.coalesce("links", F.lit(0)), F.xxhash64("id", F.lit(turn)).alias("h"), "id").alias("order"))
-        best = saved(picks.groupBy("key").agg(F.max("order").alias("c")).select("key", F.col("c.id").alias("centre")), "centres")
-        marked = open_.join(best, "key").select("key", "id", "centre", "done")
-        star = marked.where("id != centre").select(F.col("id").alias("a"), F.col("centre").alias("b")).distinct()
-        la, lb = (labels.select(F.col("id").alias(x), F.col("comp").alias(f"c{x}")) for x in "ab")
-        star = saved(star.join(la, "a", "left").join(lb, "b", "left").where("ca is null or cb is null or ca != cb").select("a", "b"), "star")
+        # centres: not yet one in this bucket, most links first, then by a hash that differs by round
+        order = Window.partitionBy("key").orderBy(F.col("done"), F.coalesce("links", F.lit(0)).desc(), F.xxhash64("id", F.lit(turn)), "id")
+        ranked = open_.join(degree, "id", "left").withColumn("r", F.row_number().over(order)).where(F.col("r") <= centres)
+        best = saved(ranked.where("not done").select("key", F.col("id").alias("centre"), F.col("n").alias("cn"), F.col("comp").alias("ccomp")), "centres")
+        # a pair is made only if it may be a link that joins two components
+        may = (F.col("comp") != F.col("ccomp")) & (100 * F.least("n", "cn") >= percent * F.greatest("n", "cn"))
+        rows_, heads = open_.select(F.col("key").alias("k"), "id", "n", "comp"), best.withColumnRenamed("key", "h")
+        star = rows_.join(heads, (F.col("k") == F.col("h")) & may).select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
+        star = saved(star, "star")
         pairs = star.join(packed.select(F.col("row").alias("b"), F.col("shingles").alias("sb")), "b").join(packed.select(F.col("row").alias("a"), F.col("shingles").alias("sa")), "a")
-        found = confirmed(pairs.select("a", "b", "sa", "sb"), percent)
-        every = saved(links.unionByName(found), "links")
+        every = saved(links.unionByName(confirmed(pairs.select("a", "b", "sa", "sb"), percent)), "links")
         grown = every.count() > links.count()
         discard(links)
         links = every
-        after = marked.select("key", "id", (F.col("done") | (F.col("id") == F.col("centre"))).alias("done"))
         if grown:
             labels = components(links)
-            degree = links.select(F.col("a").alias("id")).union(links.select("b")).groupBy("id").agg(F.count("*").alias("links"))
-        ids = after.join(labels, "id", "left").select("key", "done", F.coalesce("comp", "id").alias("comp"))
+            degree = saved(links.select(F.col("a").alias("id")).union(links.select("b")).groupBy("id").agg(F.count("*").alias("links")), "degree")
+        was = best.select("key", F.col("centre").alias("id"), F.lit(True).alias("now"))
+        after = open_.drop("comp").join(was, ["key", "id"], "left").join(labels, "id", "left").select("key", "id", "n", F.coalesce("comp", "id").alias("comp"), (F.col("done") | F.col("now").isNotNull()).alias("done"))
+        after = saved(after, "after")
         # open: members in different components, and pairs of them that haven't met
-        still = saved(ids.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high"), F.sum((~F.col("done")).cast("int")).alias("left")).where("low != high and left > 1").select("key"), "still")
+        still = saved(after.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high"), F.sum((~F.col("done")).cast("int")).alias("left")).where("low != high and left > 1").select("key"), "still")
         before, open_ = open_, saved(after.join(still, "key"), "buckets")
-        for x in (before, best, star, still):
+        for x in (before, best, star, after, still):
             discard(x)
         release(docs.sparkSession)
-        quiet, turn = 0 if grown else quiet + 1, turn + 1
+        quiet, centres, turn = 0 if grown else quiet + 1, 4 * centres, turn + 1
     out = owner.join(labels.select(F.col("id").alias("rep"), "comp"), "rep", "left").select("local", F.coalesce("comp", "rep").alias("comp"))
     return made.select("row", "local", "n_shingles").join(saved(out, "owners"), "local", "left").select("row", "n_shingles", F.coalesce("comp", "row").alias("component"))
 
