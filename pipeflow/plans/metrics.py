@@ -46,8 +46,14 @@ def plan_text(df: DataFrame, mode: str = "formatted") -> str:
 
 
 def codegen_spans(df: DataFrame) -> int:
-    """Generated-code stages of the plan as explain shows it."""
-    return len(set(re.findall(r"\[codegen id : (\d+)\]", plan_text(df)))) or len(re.findall(r"\*\(\d+\)", plan_text(df, "simple")))
+    """Generated-code stages of the plan, as it is before adaptive execution changes it."""
+    conf, key = df.sparkSession.conf, "spark.sql.adaptive.enabled"
+    before = conf.get(key)
+    conf.set(key, "false")
+    try:
+        return len(set(re.findall(r"\*\((\d+)\)", plan_text(df.select("*"), "simple"))))
+    finally:
+        conf.set(key, before)
 
 
 def exchanges(df: DataFrame) -> int:
