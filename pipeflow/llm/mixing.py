@@ -87,7 +87,8 @@ def draw(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, blocks
     drawn, edges = [], []  # a block's whole passes; what the block where the target falls may still give
     for g in goals:
         epochs = math.floor(g.target / g.source_size) if g.source_size else 0
-        rest, full = g.target - epochs * g.source_size, True
+        rest = g.target - epochs * g.source_size
+        full = rest > 0  # the partial pass still takes whole blocks
         for b in range(blocks):
             n = per.get((g.source, b))
             if n is None:

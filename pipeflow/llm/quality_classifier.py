@@ -12,6 +12,7 @@ Null and empty texts have zero features and get a score too. Null ids and repeat
 
 from __future__ import annotations
 
+import zlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -139,8 +140,10 @@ def fit(docs: DataFrame, positives: DataFrame, most: int = 4000, prior: float |
     # `most` bounds both sides, so they are broadcast
     picked = F.broadcast(p.unionByName(u))
     table = feature_rows(docs.select("doc_id", "text").join(picked, "doc_id").select("mark", "text")).toArrow()
-    marks = table.column("mark").to_numpy()
-    x = np.frombuffer(b"".join(table.column("x").to_pylist()), np.float32).reshape(-1, DENSE + HASHED)
+    # halves and sums are the same for every order in which rows arrive
+    rows = sorted(zip(table.column("x").to_pylist(), table.column("mark").to_pylist(), strict=True), key=lambda r: (zlib.crc32(r[0]), r))
+    marks = np.array([m for _, m in rows])
+    x = np.frombuffer(b"".join(r for r, _ in rows), np.float32).reshape(-1, DENSE + HASHED)
     return fit_arrays(x[marks == 1], x[marks == 0], prior)
 
 

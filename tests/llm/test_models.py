@@ -8,7 +8,7 @@ from pipeflow.llm import quality_classifier, quality_rules, toxicity
 from pipeflow.llm.common import word_hashes
 
 R = random.Random(7)
-VOCAB = [f"word{i}" for i in range(60)]
+VOCAB = [f"word{i}" for i in range(25)]
 
 
 def clean(n):
