@@ -7,13 +7,17 @@ token's string, or one of the four control characters that Python alone counts a
 
 from __future__ import annotations
 
+import json
 import os
 import re
-from itertools import filterfalse, islice
+from itertools import islice
 
 import numpy as np
 
-SIMPLE = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?]*)").fullmatch
+TAIL = ".,;:!?"
+LETTERS = re.compile(r"[a-zß-öø-ÿ]+").fullmatch
+#: Byte-level vocabularies write bytes without a printable character as code points from 256 on; those that letters need.
+SHIFTED = {chr(b): chr(256 + 33 + b - 127) for b in range(127, 161)} | {chr(173): chr(256 + 67)}
 ODD = ("<|", "\x1c", "\x1d", "\x1e", "\x1f")
 
 
@@ -25,16 +29,26 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
+        with open(path, encoding="utf-8") as f:
+            plain = json.load(f)
+        # for words that are normalised already: the same model behind a split at blanks
+        plain |= {"normalizer": None, "pre_tokenizer": {"type": "WhitespaceSplit"}, "added_tokens": []}
+        self.lean = Tokenizer.from_str(json.dumps(plain))
         vocab = self.tokenizer.get_vocab(with_added_tokens=True)
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for token, i in vocab.items() if token.endswith("</w>")]] = True
-        self.room, self.chunks, self.cores = room, {}, {}
+        self.room, self.chunks, self.cores, self.tails = room, {}, {}, {"": b""}
 
     def _whole(self, texts: list[str]) -> list[bytes]:
         return [np.array(x.ids, "<u4").tobytes() for x in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
 
     def _learn_cores(self, cores: list[str]) -> None:
-        ids = np.array(self.tokenizer.encode_batch_fast([" ".join(cores)], add_special_tokens=False)[0].ids, "<u4")
+        """cores: lower-case words of Latin-1 letters. One token of each ends the word, so the ids can be told apart."""
+        joined = " ".join(cores).encode().decode("latin-1")
+        if not joined.isascii():
+            for a, b in SHIFTED.items():
+                joined = joined.replace(a, b)
+        ids = np.array(self.lean.encode_batch_fast([joined], add_special_tokens=False)[0].ids, "<u4")
         stops = (np.flatnonzero(self.ends[ids]) + 1) * 4
         if len(stops) != len(cores):
             self.cores.update(zip(cores, self._whole(cores), strict=True))
@@ -44,22 +58,31 @@ class Encoder:
             self.cores[core] = raw[at:stop]
             at = stop
 
+    def _tail(self, tail: str) -> bytes:
+        if tail not in self.tails:
+            self.tails[tail] = self._whole([tail])[0]
+        return self.tails[tail]
+
     def _learn(self, missing: set[str]) -> None:
-        parts, rest = [], []
+        """A chunk is a word and what follows it, two pre-tokens; the word's ids don't depend on its case."""
+        fresh, rest, new, known = [], [], set(), self.cores
         for chunk in missing:
-            if m := SIMPLE(chunk):
-                parts.append((chunk, m[1].lower(), m[2]))
+            word = chunk.rstrip(TAIL)
+            core = word.lower()
+            if core in known:
+                self.chunks[chunk] = known[core] if len(word) == len(chunk) else known[core] + self._tail(chunk[len(word) :])
+            elif LETTERS(core):
+                fresh.append((chunk, core, chunk[len(word) :]))
+                new.add(core)
             else:
                 rest.append(chunk)
-        if new := list({x for _, core, tail in parts for x in (core, tail) if x and x not in self.cores}):
-            alpha = [x for x in new if x.isalpha()]
-            if alpha:
-                self._learn_cores(alpha)
-            if tails := [x for x in new if not x.isalpha()]:
-                self.cores.update(zip(tails, self._whole(tails), strict=True))
-        for chunk, core, tail in parts:
-            self.chunks[chunk] = self.cores[core] + self.cores[tail] if tail else self.cores[core]
+        if new:
+            self._learn_cores(list(new))
+        for chunk, core, tail in fresh:
+            self.chunks[chunk] = known[core] + self._tail(tail)
         self.chunks.update(zip(rest, self._whole(rest), strict=True))
+        if len(self.tails) > 1000:
+            self.tails = {"": b""}
 
     def _trim(self) -> None:
         # the first entries are the frequent ones
@@ -70,20 +93,27 @@ class Encoder:
 
     def ids(self, texts: list[str]) -> list[bytes]:
         out: list[bytes] = [b""] * len(texts)
-        split, odd = [], []
+        split, odd, get = [], [], self.chunks.get
+        missing: set[str] = set()
         for i, text in enumerate(texts):
             if any(x in text for x in ODD):
                 odd.append(i)
+                continue
+            chunks = text.split()
+            found = list(map(get, chunks))
+            if None in found:
+                lost = [k for k, x in enumerate(found) if x is None]
+                names = [chunks[k] for k in lost]
+                missing.update(names)
+                split.append((i, found, lost, names))
             else:
-                split.append((i, text.split()))
-        missing: set[str] = set()
-        for _, chunks in split:
-            missing.update(filterfalse(self.chunks.__contains__, chunks))
+                out[i] = b"".join(found)
         if missing:
             self._learn(missing)
-        get = self.chunks.__getitem__
-        for i, chunks in split:
-            out[i] = b"".join(map(get, chunks))
+        for i, found, lost, names in split:
+            for k, name in zip(lost, names, strict=True):
+                found[k] = self.chunks[name]
+            out[i] = b"".join(found)
         if odd:
             for i, x in zip(odd, self._whole([texts[i] for i in odd]), strict=True):
                 out[i] = x
