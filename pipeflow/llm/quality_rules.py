@@ -48,7 +48,9 @@ def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing
     `buckets` rows a task; the driver gets one row a bucket. The target is smoothed towards the raw distribution with
     `smoothing` pseudo-counts, so an n-gram that neither side has scores 0.
     """
-    marked = raw.select("doc_id", "text").join(target_ids.select("doc_id").distinct().withColumn("_target", F.lit(True)), "doc_id", "left")
+    # trusted ids grow with the corpus, so the join is one of two sorted sides at every size
+    trusted = target_ids.select("doc_id").distinct().withColumn("_target", F.lit(True)).hint("merge")
+    marked = raw.select("doc_id", "text").join(trusted, "doc_id", "left")
 
     def count(batches):
         total = np.zeros((2, buckets), np.int64)
