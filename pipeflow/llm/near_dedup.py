@@ -9,7 +9,12 @@ Within a bucket edges form stars: members are tried against centres, not against
 in different components and their sizes allow a link. Links are confirmed on full sets. In the first round a bucket has
 one centre; buckets whose members still lie in two components or more go into another round with four times as many new
 centres, those with the most confirmed links first. A bucket closes when its members are in one component or all have
-been centres; the search ends when no bucket is open, or when `patience` rounds over all open buckets made no link.
+been centres.
+
+After `ROUNDS` rounds the members of the buckets still open are closed exactly: with all sets in one order of shingles,
+the rare ones first, two sets that reach the threshold share a shingle near their starts, and its places bound how much
+more they can share (`near_pairs`). What the bound rules out is no link; every other pair of two components is
+confirmed on full sets, whatever the size of its bucket.
 """
 
 from __future__ import annotations
@@ -20,9 +25,11 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, discard, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, word_hashes
+from pipeflow.llm.common import LOWER, column, discard, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, slices, slot, word_hashes
 
 BINS, ROWS, ATTEMPTS = 128, 4, 48
+#: Rounds of stars before the buckets still open are closed exactly; counters of the shingles' frequencies, by hash.
+ROUNDS, COUNTERS = 2, 1 << 20
 
 
 def shingle_set(raw: bytes, k: int) -> np.ndarray:
@@ -147,7 +154,68 @@ def components(edges: DataFrame) -> DataFrame:
         state = new
 
 
-def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, rows: int = ROWS, patience: int = 2) -> DataFrame:
+def frequencies(packed: DataFrame) -> np.ndarray:
+    """How many of the packed sets hold a shingle, by the shingle's slot; slots that shingles share count all of them."""
+
+    def count(batches):
+        seen = np.zeros(COUNTERS, np.int64)
+        for part in slices(batches):
+            at, n = np.unique(slot(np.frombuffer(b"".join(column(part, "shingles").to_pylist()), "<i8"), COUNTERS), return_counts=True)
+            seen[at] += n
+        at = np.flatnonzero(seen)
+        yield pa.RecordBatch.from_pydict({"slot": pa.array(at.astype(np.int32)), "n": pa.array(seen[at])})
+
+    table = packed.select("shingles").mapInArrow(count, "slot int, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
+    out = np.zeros(COUNTERS, np.int64)
+    out[table.column("slot").to_numpy()] = table.column("n").to_numpy()
+    return out
+
+
+def heads(packed: DataFrame, percent: int) -> DataFrame:
+    """packed (id, comp, shingles) -> (id, comp, n, at, token): the shingles by which a set can first meet one that it links with.
+
+    The order is by frequency, then by hash. A link shares percent / 100 of either set at least, so its first common
+    shingle is no later than what remains. Shingles of one set only are left out; they keep their places.
+    """
+    shared = packed.sparkSession.sparkContext.broadcast(frequencies(packed))
+
+    def make():
+        def one(part):
+            out = [[] for _ in range(5)]
+            for i, comp, raw in zip(column(part, "id").to_pylist(), column(part, "comp").to_pylist(), column(part, "shingles").to_pylist(), strict=True):
+                s = np.frombuffer(raw, "<i8")
+                n = len(s)
+                often = shared.value[slot(s, COUNTERS)]
+                order = np.lexsort((s, often))[: n - -(-percent * n // 100) + 1]
+                at = np.flatnonzero(often[order] > 1)
+                for c, v in zip(out, (np.full(len(at), i), np.full(len(at), comp), np.full(len(at), n), at, s[order[at]]), strict=True):
+                    c.append(v.astype(np.int64))
+            return {k: pa.array(np.concatenate(c), pa.int64()) for k, c in zip(("id", "comp", "n", "at", "token"), out, strict=True)}
+
+        return one
+
+    return map_slices(packed, "id long, comp long, n long, at long, token long", make)
+
+
+def near_pairs(packed: DataFrame, percent: int) -> DataFrame:
+    """packed (id, comp, shingles) -> (a, b): every pair of two components that may reach the threshold, once.
+
+    At the first common shingle of two sets all that they share lies at or after its places. Members of a shingle's
+    commonest component aren't held against each other: each pair of two components has a member outside of it.
+    """
+    made = saved(heads(packed, percent), "heads")
+    by = made.groupBy("token", "comp").agg(F.count("*").alias("c")).groupBy("token").agg(F.max_by("comp", F.struct("c", "comp")).alias("top"), F.count("*").alias("kinds"))
+    live = saved(made.join(by.where("kinds > 1").select("token", "top"), "token").withColumn("minor", F.col("comp") != F.col("top")).drop("top"), "live")
+    x = live.where("minor").select("token", F.col("id").alias("xi"), F.col("comp").alias("xc"), F.col("n").alias("xn"), F.col("at").alias("xa"))
+    most = F.least(F.col("n") - F.col("at"), F.col("xn") - F.col("xa"))
+    may = (F.col("comp") != F.col("xc")) & (~F.col("minor") | (F.col("xi") < F.col("id"))) & (100 * F.least("n", "xn") >= percent * F.greatest("n", "xn")) & ((100 + percent) * most >= percent * (F.col("n") + F.col("xn")))
+    out = saved(live.withColumnRenamed("token", "t").join(x, (F.col("t") == F.col("token")) & may).select(F.least("id", "xi").alias("a"), F.greatest("id", "xi").alias("b")).distinct(), "near-pairs")
+    for y in (made, live):
+        discard(y)
+    return out
+
+
+def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, rows: int = ROWS, rounds: int = ROUNDS) -> DataFrame:
     """docs (row, text), rows distinct, not null -> row, n_shingles, component: the least row that it is linked with, directly or not."""
     made = saved(sets(docs, k, bins, rows), "sets")
     locals_ = saved(made.where("row = local and n_shingles > 0").select("row", "set_hi", "set_lo"), "locals")
@@ -164,8 +232,8 @@ def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, ro
     links = saved(packed.select(F.col("row").alias("a"), F.col("row").alias("b")).where("false"), "links")
     labels = packed.select(F.col("row").alias("id"), F.col("row").alias("comp")).where("false")
     degree = packed.select(F.col("row").alias("id"), F.col("row").alias("links")).where("false")
-    quiet, centres, turn = 0, 1, 0
-    while quiet < patience and open_.limit(1).count():
+    centres, turn = 1, 0
+    while turn < rounds and open_.limit(1).count():
         # centres: not yet one in this bucket, most links first, then by a hash that differs by round
         order = Window.partitionBy("key").orderBy(F.col("done"), F.coalesce("links", F.lit(0)).desc(), F.xxhash64("id", F.lit(turn)), "id")
         ranked = open_.join(degree, "id", "left").withColumn("r", F.row_number().over(order)).where(F.col("r") <= centres)
@@ -192,7 +260,16 @@ def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, ro
         for x in (before, best, star, after, still):
             discard(x)
         release(docs.sparkSession)
-        quiet, centres, turn = 0 if grown else quiet + 1, 4 * centres, turn + 1
+        centres, turn = 4 * centres, turn + 1
+    if open_.limit(1).count():
+        left = saved(open_.select("id", "comp").distinct().join(packed.select(F.col("row").alias("id"), "shingles"), "id"), "left")
+        tried = near_pairs(left, percent)
+        pairs = tried.join(packed.select(F.col("row").alias("b"), F.col("shingles").alias("sb")), "b").join(packed.select(F.col("row").alias("a"), F.col("shingles").alias("sa")), "a")
+        every = saved(links.unionByName(confirmed(pairs.select("a", "b", "sa", "sb"), percent)), "links")
+        labels = components(every)
+        for x in (links, left, tried):
+            discard(x)
+        release(docs.sparkSession)
     out = owner.join(labels.select(F.col("id").alias("rep"), "comp"), "rep", "left").select("local", F.coalesce("comp", "rep").alias("comp"))
     return made.select("row", "local", "n_shingles").join(saved(out, "owners"), "local", "left").select("row", "n_shingles", F.coalesce("comp", "row").alias("component"))
 

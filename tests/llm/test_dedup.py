@@ -97,6 +97,23 @@ def test_near_components(spark, seed, k):
     assert got == brute_components(rows, k)
 
 
+def test_near_links_in_hot_buckets(spark):
+    # texts of one template; three of them reach the threshold and meet in buckets of thousands only
+    template, own = " ".join(f"t{i}" for i in range(160)), lambda d, n: " ".join(f"w{d}x{i}" for i in range(n))
+    rows = [(d, f"{template} {own(d, 80)}") for d in range(2000)] + [(d, f"{template} {own(d, 17)}") for d in range(2000, 2003)]
+    a, b, c = (set(near_dedup.shingle_set(rows[d][1].encode(), 5).tolist()) for d in (2000, 2001, 0))
+    assert len(a & b) >= 0.8 * len(a | b) and len(a & c) < 0.8 * len(a | c)
+    got = {r.doc_id: r.component_id for r in near_dedup.components_of(frame(spark, rows).select("doc_id", "text"), 5).collect()}
+    assert got == {d: min(d, 2000) for d, _ in rows}
+
+
+@pytest.mark.parametrize(("seed", "rounds"), [(3, 0), (4, 1)])
+def test_near_close_equals_brute_force(spark, seed, rounds):
+    rows = near_rows(seed)
+    got = {r.row: r.component for r in near_dedup.classes(frame(spark, rows).select(F.col("doc_id").alias("row"), "text"), 2, rounds=rounds).collect()}
+    assert got == {d: x[1] for d, x in brute_components(rows, 2).items()}
+
+
 def test_near_repeated_ids_and_empty(spark):
     rows = [(1, "a b c d e f"), (1, "a b c d e f"), (None, "a b c d e f"), (None, "z"), (5, "")]
     got = sorted(map(str, near_dedup.components_of(frame(spark, rows).select("doc_id", "text"), 2).collect()))
