@@ -100,8 +100,9 @@ def item_traffic(spark: SparkSession, n: int, mode: str) -> DataFrame:
 def count_block_ios(trace: DataFrame, b: int, cache_blocks: int = 1, chunk: int = 1 << 20) -> DataFrame:
     """trace (pos, cell): block transfers of a reader with an LRU cache -> one row (n, ios).
 
-    A cache of one block is exact: a chunk's first block is held against the last of the chunk before. Larger caches
-    start cold in each chunk of `chunk` accesses, as so many independent readers would.
+    A cache of one block holds a chunk's first block against the last of the chunk before. Larger caches are warmed: what
+    the cache holds after a chunk are the last `cache_blocks` distinct blocks up to there, of the chunk itself or, where
+    it has fewer, of chunks before it; these few are carried from chunk to chunk on the driver.
     """
     t = trace.withColumn("block", div(F.col("cell"), b)).withColumn("chunk", div(F.col("pos"), chunk))
     if cache_blocks == 1:
@@ -112,20 +113,34 @@ def count_block_ios(trace: DataFrame, b: int, cache_blocks: int = 1, chunk: int
         total = inside.agg(F.count("*").alias("n"), F.count_if(F.col("before").isNull() | (F.col("before") != F.col("block"))).alias("misses"))
         return total.crossJoin(seams).select("n", (F.col("misses") - F.col("same")).alias("ios"))
 
+    # a chunk's last distinct blocks, oldest first; what the cache holds before each chunk
+    spark = trace.sparkSession
+    newest = Window.partitionBy("chunk").orderBy(F.col("at").desc())
+    tails = t.groupBy("chunk", "block").agg(F.max("pos").alias("at")).withColumn("r", F.row_number().over(newest)).where(F.col("r") <= cache_blocks)
+    held: list[int] = []
+    warm = []
+    for chunk, blocks in tails.groupBy("chunk").agg(F.sort_array(F.collect_list(F.struct("at", "block"))).alias("last")).select("chunk", "last.block").orderBy("chunk").toLocalIterator():
+        warm += [(chunk, k - len(held), b) for k, b in enumerate(held)]
+        new = set(blocks)
+        held = ([b for b in held if b not in new] + blocks)[-cache_blocks:]
+    warm_rows = spark.createDataFrame(warm, "chunk long, pos long, block long").withColumn("warm", F.lit(True))
+
     def lru(pdf: pd.DataFrame) -> pd.DataFrame:
         held: dict[int, None] = {}
         misses = 0
-        for block in pdf.sort_values("pos")["block"]:
+        # warming rows come first: they fill the cache and count for nothing
+        for block, warming in pdf.sort_values(["warm", "pos"], ascending=[False, True])[["block", "warm"]].itertuples(index=False):
             if block in held:
                 del held[block]
             else:
-                misses += 1
+                misses += not warming
                 if len(held) >= cache_blocks:
                     del held[next(iter(held))]
             held[block] = None
-        return pd.DataFrame({"n": [len(pdf)], "misses": [misses]})
+        return pd.DataFrame({"n": [int((~pdf["warm"]).sum())], "misses": [misses]})
 
-    return t.groupBy("chunk").applyInPandas(lru, "n long, misses long").agg(F.sum("n").alias("n"), F.sum("misses").alias("ios"))
+    rows = t.select(F.col("chunk").cast("long"), F.col("pos").cast("long"), F.col("block").cast("long"), F.lit(False).alias("warm")).unionByName(warm_rows)
+    return rows.groupBy("chunk").applyInPandas(lru, "n long, misses long").agg(F.sum("n").alias("n"), F.sum("misses").alias("ios"))
 
 
 def extrapolate(spark: SparkSession, rows: list[tuple[float, float, float, float, float]]) -> DataFrame:

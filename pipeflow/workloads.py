@@ -125,7 +125,7 @@ def direct_ios(spark: SparkSession, sf_dir: str, b: int = 10, cache: int = 1) ->
 
 @query("direct_ios_transpose_cached")
 def direct_ios_cached(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Tested against a brute-force cache: tests/test_cost.py."""
+    """Tested against a brute-force cache, over chunk seams too: tests/test_spark.py."""
     return direct_ios(spark, sf_dir, 10, 100)
 
 

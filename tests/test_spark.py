@@ -118,6 +118,19 @@ def test_block_transfers(spark, cache):
     assert (got.n, got.ios) == (400, lru(order, 10, cache))
 
 
+@pytest.mark.parametrize(("cache", "chunk"), [(3, 7), (20, 64), (25, 10), (50, 1)])
+def test_block_transfers_over_seams(spark, cache, chunk):
+    s = GridShape(20, 20)
+    order = [(t % 20) * 20 + t // 20 for t in range(400)]
+    trace = regrid.pairs(spark, maps.transpose(s)).select(F.col("tgt").alias("pos"), F.col("src").alias("cell"))
+    got = cost.count_block_ios(trace, 10, cache, chunk=chunk).first()
+    assert (got.n, got.ios) == (400, lru(order, 10, cache))
+    r = np.random.default_rng(cache)
+    order = r.integers(0, 400, 300).tolist()
+    got = cost.count_block_ios(spark.createDataFrame(list(enumerate(order)), "pos long, cell long"), 10, cache, chunk=chunk).first()
+    assert (got.n, got.ios) == (300, lru(order, 10, cache))
+
+
 def test_pipeline_runs_in_every_mode(spark):
     s = GridShape(6, 4)
     want = (np.arange(24) * 1.5).reshape(4, 6).T.ravel().tolist()
