@@ -1,7 +1,8 @@
 """Toxicity: a bidirectional gated recurrent network with attention pooling over word and character inputs, in numpy.
 
 A word's input is its embedding (hashed table) beside the mean embeddings of its character trigrams and of its
-beginnings of three to six bytes; words and beginnings of fewer than `SEEN` training documents have no embedding. Two gated recurrent
+beginnings of three to six bytes; a word of more than `LONG` bytes, as in text without blanks, is read as one piece of
+at most so many bytes from each of its characters on, so all of it is read. Words and beginnings of fewer than `SEEN` training documents have no embedding. Two gated recurrent
 layers read a window of words from either end; attention weighs their states, and a logistic unit reads the weighted
 sum. A document is scored by all overlapping windows of its whole text; its score is the highest.
 
@@ -14,6 +15,7 @@ Null and empty texts are one window of padding and get a score too. Null ids and
 from __future__ import annotations
 
 import zlib
+from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import islice
 
@@ -29,8 +31,10 @@ WORD_ROWS, CHAR_ROWS, EMBED, HIDDEN = 1 << 16, 1 << 12, 8, 8
 BEGIN = (3, 4, 5, 6)
 INPUTS = 3 * EMBED
 EDGE = b".,;:!?\"'()[]{}"
-#: At most so many trigrams of a word are looked up: enough for any word of a language, a bound for junk.
-TRIGRAMS = 24
+#: Longer words are read in pieces of at most so many bytes.
+LONG = 24
+#: Words after which a new part of a long text begins, a multiple of STRIDE; words that are scored together, or a part more.
+PART, TOGETHER = 512 * STRIDE, 100_000
 #: Standard errors by which a word must be commoner in toxic documents to mark a window, and least log-odds; documents that must hold it.
 TELLING, LEAST_ODDS, SEEN = 5.0, 1.5, 5
 #: Training goes on for so many steps at least, on however few documents.
@@ -41,12 +45,46 @@ def word_key(word: bytes) -> bytes:
     return word.strip(EDGE).lower() or word
 
 
+def pieces(word: bytes) -> Iterator[bytes]:
+    """The word itself, or if it is long, what begins at each of its characters, whole characters of `LONG` bytes at most."""
+    if len(word) <= LONG:
+        yield word
+        return
+    inside = [c & 0xC0 == 0x80 for c in word] + [False]
+    for at in range(len(word)):
+        if inside[at]:
+            continue
+        end = min(at + LONG, len(word))
+        while inside[end]:
+            end -= 1
+        yield word[at : max(end, at + 1)]
+
+
+def tokens(text: bytes) -> list[bytes]:
+    words = text.split()
+    return words if max(map(len, words), default=0) <= LONG else [p for w in words for p in pieces(w)]
+
+
+def parts(text: bytes) -> Iterator[list[bytes]]:
+    """Runs of the text's tokens whose windows together are the windows of the whole text."""
+    words = text.split()
+    if len(words) <= PART + WINDOW and max(map(len, words), default=0) <= LONG:
+        yield words
+        return
+    run: list[bytes] = []
+    for w in words:
+        for p in pieces(w):
+            if len(run) == PART + WINDOW:
+                yield run
+                run = run[PART:]
+            run.append(p)
+    yield run
+
+
 def word_slots(word: bytes) -> tuple[int, list[int], list[int]]:
-    """Rows of the word table, of the trigram table and, for its beginnings, of the word table's upper half. Longer words take evenly spread trigrams of the whole word."""
+    """Rows of the word table, of the trigram table and, for its beginnings, of the word table's upper half."""
     w = b"^" + word + b"$"
-    n = max(len(w) - 2, 1)
-    step = -(-n // TRIGRAMS)
-    return zlib.crc32(word) % WORD_ROWS, [zlib.crc32(w[i : i + 3]) % CHAR_ROWS for i in range(0, n, step)], [WORD_ROWS + zlib.crc32(word[:k], k) % WORD_ROWS for k in BEGIN]
+    return zlib.crc32(word) % WORD_ROWS, [zlib.crc32(w[i : i + 3]) % CHAR_ROWS for i in range(max(len(w) - 2, 1))], [WORD_ROWS + zlib.crc32(word[:k], k) % WORD_ROWS for k in BEGIN]
 
 
 def sigmoid(z):
@@ -228,7 +266,7 @@ def fit_texts(texts: list[bytes], y: np.ndarray, epochs: int = 4, rate: float =
     if not len(texts) or len(set(y.tolist())) < 2:
         return network
     numbers: dict[bytes, int] = {}
-    docs = [[numbers.setdefault(word_key(w), len(numbers)) for w in t.split()] for t in texts]
+    docs = [[numbers.setdefault(word_key(w), len(numbers)) for w in tokens(t)] for t in texts]
     numbers.setdefault(b"", len(numbers))
     _train(network, docs, [word_slots(w) for w in numbers], y, epochs, rate, seed)
     return network
@@ -273,14 +311,29 @@ class Scorer:
                 at += 1
 
     def scores(self, texts: list[bytes]) -> np.ndarray:
-        docs = [t.split() for t in texts]
+        out = np.full(len(texts), -np.inf)
+        docs, owner, held = [], [], 0
+        for i, text in enumerate(texts):
+            for part in parts(text):
+                docs.append(part)
+                owner.append(i)
+                held += len(part)
+                if held >= TOGETHER:
+                    self._score(docs, owner, out)
+                    docs, owner, held = [], [], 0
+        if docs:
+            self._score(docs, owner, out)
+        return sigmoid(out)
+
+    def _score(self, docs: list[list[bytes]], numbers: list[int], out: np.ndarray) -> None:
+        """Raises out, at the numbers of docs, to the highest logit of their windows."""
         if len(self.rows) > self.room:
             self.rows = dict(islice(self.rows.items(), self.room // 2))
         missing = set().union(*docs) - self.rows.keys()
         if missing:
             self._learn(missing)
         get, ids, starts, owner, left, base = self.rows.__getitem__, [], [], [], [], 0
-        for i, words in enumerate(docs):
+        for i, words in zip(numbers, docs, strict=True):
             at = window_starts(len(words))
             ids.append(np.fromiter(map(get, words), np.int64, len(words)))
             starts.append(at + base)
@@ -289,13 +342,11 @@ class Scorer:
             base += len(words)
         ids.append(np.zeros(WINDOW, np.int64))
         ids, starts, left, owner = (np.concatenate(x) for x in (ids, starts, left, owner))
-        out = np.full(len(texts), -np.inf)
         for k in range(0, len(starts), 512):
             at = starts[k : k + 512]
             mask = np.arange(WINDOW)[:, None] < left[k : k + 512]
             x = self.table[np.where(mask, ids[np.minimum(at + np.arange(WINDOW)[:, None], len(ids) - 1)], 0)]
             np.maximum.at(out, owner[k : k + 512], self.network.forward(x, mask))
-        return sigmoid(out)
 
 
 def score(docs: DataFrame, network: Network) -> DataFrame:

@@ -1,4 +1,5 @@
 import random
+import zlib
 
 import numpy as np
 import pytest
@@ -121,3 +122,31 @@ def test_toxic_documents_are_found(spark):
     one = toxicity.Scorer(net, room=10)
     texts = [(t or "").encode() for _, t in rows]
     assert np.allclose(one.scores(texts[:50]), np.concatenate([one.scores(texts[:20]), one.scores(texts[20:50])]), atol=1e-5)
+
+
+@pytest.mark.parametrize("letters", ["abcdefghijklmnopqrstuvwxyz", "天地玄黄宇宙洪荒日月盈昃辰宿列张寒来暑往"])
+def test_all_of_a_long_word_is_read(letters):
+    r = random.Random(5)
+    word = "".join(r.choice(letters) for _ in range(3000)).encode()
+    read = list(toxicity.pieces(word))
+    assert all(len(x) <= toxicity.LONG and x.decode() for x in read) and len(read) == len(word.decode())
+    slots = {x: set(toxicity.word_slots(x)[1]) for x in read}
+    assert {zlib.crc32(word[i : i + 3]) % toxicity.CHAR_ROWS for i in range(len(word) - 2)} <= set().union(*slots.values())
+    some = word.decode()
+    assert all(x.startswith(some[i : i + 5].encode()) for i, x in enumerate(read))
+
+
+def test_abuse_inside_a_long_word_is_found():
+    texts = [clean(40).encode() for _ in range(120)] + [toxic(40).encode() for _ in range(60)]
+    net = toxicity.fit_texts(texts, np.array([0] * 120 + [1] * 60, np.float32))
+    bad = next(w for w in max(texts[120:], key=len).split() if w not in set(b" ".join(texts[:120]).split()))
+    calm = b"".join(texts[0].split()) * 30
+    low, high = toxicity.Scorer(net).scores([calm, calm[:1501] + bad + calm[1501:]])
+    assert low < 0.3 <= high
+
+
+def test_parts_have_the_windows_of_the_whole():
+    for n in (0, 5, toxicity.PART, toxicity.PART + toxicity.WINDOW, toxicity.PART + toxicity.WINDOW + 1, 3 * toxicity.PART + 77):
+        words = [b"%d" % i for i in range(n)]
+        want = {tuple(words[k : k + toxicity.WINDOW]) for k in toxicity.window_starts(n)}
+        assert {tuple(p[k : k + toxicity.WINDOW]) for p in toxicity.parts(b" ".join(words)) for k in toxicity.window_starts(len(p))} == want
