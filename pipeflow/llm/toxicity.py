@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from pipeflow.llm.common import bounded, column, map_slices, raw_texts
 
-WINDOW, STRIDE = 64, 48
+WINDOW, STRIDE = 64, 16
 WORD_ROWS, CHAR_ROWS, EMBED, HIDDEN = 1 << 16, 1 << 12, 8, 8
 BEGIN = (3, 4, 5, 6)
 INPUTS = 3 * EMBED

@@ -150,3 +150,10 @@ def test_parts_have_the_windows_of_the_whole():
         words = [b"%d" % i for i in range(n)]
         want = {tuple(words[k : k + toxicity.WINDOW]) for k in toxicity.window_starts(n)}
         assert {tuple(p[k : k + toxicity.WINDOW]) for p in toxicity.parts(b" ".join(words)) for k in toxicity.window_starts(len(p))} == want
+
+
+def test_passages_lie_whole_in_a_window():
+    for n in (64, 65, 100, 500, 1003):
+        at = toxicity.window_starts(n)
+        for size in (18, 32, 49):
+            assert all(((at <= k) & (k + size <= at + toxicity.WINDOW)).any() for k in range(n - size + 1))
