@@ -7,7 +7,7 @@ layers read a window of words from either end; attention weighs their states, an
 sum. A document is scored by all overlapping windows of its whole text; its score is the highest.
 
 Training takes at most `most` labelled documents of each label, the first by a hash of doc_id. A document's label
-holds for its windows of highest score: first by word log-odds, then by the model itself, anew in each epoch.
+holds for its window of highest word log-odds; a clean one's also for windows drawn anew in each epoch.
 
 Null and empty texts are one window of padding and get a score too. Null ids and repeated rows are scored like others.
 """
@@ -37,6 +37,8 @@ LONG = 24
 PART, TOGETHER = 512 * STRIDE, 100_000
 #: Standard errors by which a word must be commoner in toxic documents to mark a window, and least log-odds; documents that must hold it.
 TELLING, LEAST_ODDS, SEEN = 5.0, 1.5, 5
+#: What a toxic document without a telling word weighs in the loss.
+WEAK = 0.25
 #: Training goes on for so many steps at least, on however few documents.
 STEPS, DECAY = 120, 1e-3
 
@@ -188,9 +190,7 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
     by_row = _row_odds(arrays, y, rows)
     odds = by_row[rows].max(axis=1)
     network.p["word"][:, 0] = by_row / 2  # embeddings start from what counts alone say; the network learns the rest
-    # labels are noisy: a toxic document without any telling word is left out, unless all are
-    weak = 0.0 if odds.any() else 1.0
-    trust = np.array([1.0 if not label or (len(d) and odds[d].max() > 0) else weak for d, label in zip(arrays, y, strict=True)], np.float32)
+    trust = weights(arrays, y, odds)
     first = {k: np.zeros_like(v) for k, v in network.p.items()}
     second = {k: np.zeros_like(v) for k, v in network.p.items()}
     step = 0
@@ -249,6 +249,11 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
                 network.p[k] -= (rate * (first[k] / (1 - 0.9**step)) / (np.sqrt(second[k] / (1 - 0.999**step)) + 1e-7)).astype(np.float32)
 
 
+def weights(docs: list[np.ndarray], y: np.ndarray, odds: np.ndarray) -> np.ndarray:
+    """Of each document in the loss. Labels are noisy: a toxic document without any telling word counts less, but it counts."""
+    return np.array([1.0 if not label or (len(d) and odds[d].max() > 0) else WEAK for d, label in zip(docs, y, strict=True)], np.float32)
+
+
 def _row_odds(docs: list[np.ndarray], y: np.ndarray, rows: np.ndarray) -> np.ndarray:
     """What a word or a beginning says for toxicity: its log-odds where it stands in toxic documents far more often than chance allows, else 0."""
     seen = np.zeros((2, 2 * WORD_ROWS))

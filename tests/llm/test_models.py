@@ -157,3 +157,9 @@ def test_passages_lie_whole_in_a_window():
         at = toxicity.window_starts(n)
         for size in (18, 32, 49):
             assert all(((at <= k) & (k + size <= at + toxicity.WINDOW)).any() for k in range(n - size + 1))
+
+
+def test_every_toxic_row_is_learnt_from():
+    docs, y = [np.array(d, np.int64) for d in ([0], [1], [], [0, 1])], np.array([0, 1, 1, 1], np.float32)
+    got = toxicity.weights(docs, y, np.array([2.0, 0.0]))
+    assert (got > 0).all() and got[0] == got[3] == 1 and got[1] == got[2] < 1
