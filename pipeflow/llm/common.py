@@ -12,8 +12,10 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Rows that a Python operator holds as Python objects at a time.
-SLICE = 256
+#: Rows that a Python operator holds as Python objects at a time; rows of an Arrow batch.
+SLICE, BATCH = 256, 2048
+#: Bits of a bitmap for each marked id, and of the largest bitmap that is broadcast (16 MB).
+BITS_EACH, MOST_BITS = 16, 1 << 27
 
 LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 
@@ -27,9 +29,11 @@ def labels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a folder of this run where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Only a local session gets a folder of its own where it is unset."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         at = f"file://{tempfile.mkdtemp(prefix='pipeflow-')}"
         spark.conf.set("spark.checkpoint.dir", at)
     return at.rstrip("/")
@@ -71,6 +75,27 @@ def release(spark: SparkSession) -> None:
     spark._jvm.System.gc()
 
 
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that df doesn't have, whatever the case of its names."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def ids_are_keys(docs: DataFrame) -> bool:
+    """Whether every doc_id is there and none repeats."""
+    n, ids = docs.agg(F.count("*"), F.count_distinct(F.col("doc_id").cast("long"))).first()
+    return n == ids
+
+
+def small_batches(spark: SparkSession) -> None:
+    """At most `BATCH` rows in an Arrow batch: texts and sets may be long, and the JVM and Python both hold a batch."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= BATCH:
+        spark.conf.set(key, str(BATCH))
+
+
 def slices(batches: Iterator[pa.RecordBatch], size: int = SLICE) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for at in range(0, batch.num_rows, size):
@@ -86,6 +111,7 @@ def map_slices(df: DataFrame, schema: str, make: Callable[[], Callable[[pa.Recor
             out = f(part)
             yield out if isinstance(out, pa.RecordBatch) else pa.RecordBatch.from_pydict(out)
 
+    small_batches(df.sparkSession)
     return df.mapInArrow(run, schema)
 
 
@@ -135,25 +161,17 @@ def bounded(df: DataFrame, n: int, *cols: str) -> DataFrame:
     return df.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).select(*cols)
 
 
-def sampled_texts(docs: DataFrame, marks: DataFrame, n: int, seed_col: str) -> DataFrame:
-    """(doc_id, mark, text) of at most n labelled ids for each value of seed_col; n bounds what is broadcast."""
-    spark = docs.sparkSession
-    values = [r[0] for r in marks.select(seed_col).distinct().limit(16).collect()]
-    picked = None
-    for v in values:
-        part = bounded(marks.where(F.col(seed_col) == v), n, "doc_id", seed_col)
-        picked = part if picked is None else picked.unionByName(part)
-    if picked is None:
-        return spark.createDataFrame([], f"doc_id bigint, {seed_col} int, text string")
-    return docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("doc_id", seed_col, "text")
+def marked_bits(ids: DataFrame) -> np.ndarray | None:
+    """A bitmap of the ids' hashes: what a scan may skip is what isn't marked. None if it would be too large to send round.
 
-
-def marked_bits(ids: DataFrame, bits: int = 1 << 23) -> np.ndarray:
-    """A bitmap of the ids' hashes, `bits` long whatever their number: what a scan may skip is what isn't marked.
-
-    An unmarked id is surely not among ids; a marked one may be. Each task sends at most bits / 64 words.
+    An unmarked id is surely not among ids; a marked one may be. Its length follows from a count of the ids, so that few
+    others are marked by chance. Each task sends at most bits / 64 words.
     """
     name = ids.columns[0]
+    ids = ids.where(F.col(name).isNotNull()).select(name)
+    bits = 1 << max(16, (BITS_EACH * ids.count()).bit_length())
+    if bits > MOST_BITS:
+        return None
 
     def collect(batches):
         seen = np.zeros(bits, bool)
@@ -164,7 +182,7 @@ def marked_bits(ids: DataFrame, bits: int = 1 << 23) -> np.ndarray:
         at = np.flatnonzero(words)
         yield pa.RecordBatch.from_pydict({"word": pa.array(at.astype(np.int32)), "value": pa.array(words[at])})
 
-    table = ids.where(F.col(name).isNotNull()).select(name).mapInArrow(collect, "word int, value long").groupBy("word").agg(F.bit_or("value").alias("value")).toArrow()
+    table = ids.mapInArrow(collect, "word int, value long").groupBy("word").agg(F.bit_or("value").alias("value")).toArrow()
     out = np.zeros(bits // 64, "<i8")
     out[table.column("word").to_numpy()] = table.column("value").to_numpy()
     return out
@@ -179,14 +197,34 @@ def is_marked(ids: np.ndarray, words: np.ndarray) -> np.ndarray:
     return (words[at >> 6].view(np.uint64) >> (at & 63).astype(np.uint64)) & np.uint64(1) > 0
 
 
-def only_marked(df: DataFrame, name: str, words: np.ndarray) -> DataFrame:
-    """Rows of df whose id is marked. Runs beside the scan: no shuffle; keeps every row that has a marked id."""
+def filtered(df: DataFrame, name: str, words: np.ndarray, marked: bool) -> DataFrame:
+    """Rows of df whose id is (or isn't) marked; rows without an id are never marked. Runs beside the scan: no shuffle."""
     shared = df.sparkSession.sparkContext.broadcast(words)
 
     def run(batches):
         for part in slices(batches):
-            mask = is_marked(column(part, name).to_numpy(zero_copy_only=False), shared.value)
+            ids = column(part, name)
+            mask = is_marked(ids.fill_null(0).to_numpy(zero_copy_only=False), shared.value) & ids.is_valid().to_numpy(zero_copy_only=False)
+            mask = mask if marked else ~mask
             if mask.any():
-                yield part.filter(pa.array(mask))
+                yield part if mask.all() else part.filter(pa.array(mask))
+
+    small_batches(df.sparkSession)
+    return df.mapInArrow(run, df.schema)
+
+
+def only_marked(df: DataFrame, name: str, ids: DataFrame) -> DataFrame:
+    """df's rows whose id is in ids (one column), and perhaps a few more. Without a shuffle of df while ids are few enough for a bitmap; else by a join."""
+    words = marked_bits(ids)
+    if words is None:
+        return df.join(ids.select(F.col(ids.columns[0]).alias(name)).distinct(), name, "left_semi").select(*df.columns)
+    return filtered(df, name, words, True)
+
 
-    return df.where(F.col(name).isNotNull()).mapInArrow(run, df.schema)
+def without(df: DataFrame, name: str, ids: DataFrame) -> DataFrame:
+    """df's rows whose id isn't in ids (one column). Only rows that may be are shuffled while ids are few enough for a bitmap."""
+    gone = ids.select(F.col(ids.columns[0]).alias(name)).distinct()
+    words = marked_bits(ids)
+    if words is None:
+        return df.join(gone, name, "left_anti").select(*df.columns)
+    return filtered(df, name, words, False).unionByName(filtered(df, name, words, True).join(gone, name, "left_anti").select(*df.columns))

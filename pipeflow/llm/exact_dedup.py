@@ -4,7 +4,8 @@ Texts are normalised (A-Z to lower case, null as empty). Each task first puts it
 row a distinct text, so a text that a third of all rows share arrives as one row a task. Those texts are dealt by
 length and content hash; in each partition a compressed radix trie over the full bytes owns them: its terminal nodes
 hold the best identifier and the number of rows. A trie beyond its memory spills its largest subtree to a local file
-and works it off, subtree by subtree, at the end. Rows find their owner through their task's representative.
+of its own task (scratch that nobody else reads; a lost task is computed again) and works it off, subtree by subtree,
+at the end. Rows find their owner through their task's representative.
 
 The row with the largest (or smallest) doc_id stays; a null id loses to any other and, if all are null, is the keep id.
 Of rows that repeat an id, `kept` holds for each row with the id that stays. Other columns are not read.
@@ -22,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, raw_texts, saved, slices
+from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, raw_texts, saved, slices, small_batches, unused, without
 
 
 def better(a: int | None, b: int | None, largest: bool) -> int | None:
@@ -31,6 +32,10 @@ def better(a: int | None, b: int | None, largest: bool) -> int | None:
     return max(a, b) if largest else min(a, b)
 
 
+#: Bytes that a tag is booked with: a pair of numbers, the numbers, and its place in the list.
+TAG = 150
+
+
 class Node:
     __slots__ = ("label", "children", "entry")
 
@@ -82,11 +87,13 @@ class OwnerTrie:
                 child = top
                 self.held += 200
             node, at = child, at + k
-        if node.entry is None:
+        entry = node.entry
+        if entry is None:
             node.entry = [best, n, list(tags)]
         else:
-            node.entry = [better(node.entry[0], best, self.largest), node.entry[1] + n, node.entry[2] + list(tags)]
-        self.held += 16 * len(tags)
+            entry[0], entry[1] = better(entry[0], best, self.largest), entry[1] + n
+            entry[2] += tags
+        self.held += TAG * len(tags)
         if self.held > self.budget:
             self._spill()
 
@@ -104,7 +111,7 @@ class OwnerTrie:
         total, todo = 0, [top]
         while todo:
             x = todo.pop()
-            total += len(x.label) + 200 + (16 * len(x.entry[2]) if x.entry else 0)
+            total += len(x.label) + 200 + (TAG * len(x.entry[2]) if x.entry else 0)
             todo += x.children.values()
         return total
 
@@ -158,11 +165,9 @@ def _local(largest: bool, room: int):
                 continue
             if base is None:
                 base = column(part, "_part")[0].as_py() << 40
-            rows = []
             for doc_id, row, raw in zip(column(part, "doc_id").to_pylist(), column(part, "row").to_pylist(), raw_texts(part), strict=True):
                 text = raw.translate(LOWER)
-                rows.append((doc_id, row, hashlib.sha256(text).hexdigest()))
-                trie.insert(text, doc_id, 1, [rows[-1]])
+                trie.insert(text, doc_id, 1, [(doc_id, row)])
             if trie.held > room:
                 yield from _flush(trie, base, serial)
                 serial += 1 << 24
@@ -179,16 +184,16 @@ def _flush(trie: OwnerTrie, base: int, serial: int) -> Iterator[pa.RecordBatch]:
     for text, best, n, rows in trie.owners():
         rep = base + serial
         serial += 1
-        first = True
-        for doc_id, row, sha in rows:
-            h = xxhash.xxh3_64_intdigest(text) - (1 << 63)
+        first, sha, h = True, hashlib.sha256(text).hexdigest(), xxhash.xxh3_64_intdigest(text) - (1 << 63)
+        held += len(text)
+        for doc_id, row in rows:
             for c, v in zip(cols, (doc_id, row, rep, sha, text, len(text), h, best, n) if first else (doc_id, row, rep, sha, None, None, None, None, None), strict=True):
                 c.append(v)
             first = False
-        held += len(text)
-        if held > 4 << 20:
-            yield _batch(cols)
-            cols, held = [[] for _ in range(9)], 0
+            held += TAG
+            if held > 4 << 20:
+                yield _batch(cols)
+                cols, held = [[] for _ in range(9)], 0
     if cols[0]:
         yield _batch(cols)
 
@@ -219,27 +224,41 @@ def _own(largest: bool, budget: int):
 
 def groups(docs: DataFrame, keep: str = "smallest", room: int = 48 << 20, budget: int = 64 << 20) -> DataFrame:
     """docs (doc_id, text) -> a row a document: doc_id, keep_id, group_size, kept, text_sha256."""
-    out = _groups(docs.select("doc_id", "text", F.lit(None).cast("long").alias("row")), keep, room, budget)
+    out, _ = _groups(docs.select("doc_id", "text", F.lit(None).cast("long").alias("row")), keep, room, budget)
     return out.select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
-def _groups(docs: DataFrame, keep: str, room: int = 48 << 20, budget: int = 64 << 20) -> DataFrame:
+def _groups(docs: DataFrame, keep: str, room: int = 48 << 20, budget: int = 64 << 20) -> tuple[DataFrame, DataFrame]:
+    """The groups, and the saved table that they are read from."""
     largest = keep == "largest"
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long"), "row", "text").withColumn("_part", F.spark_partition_id().cast("long"))
     local = saved(rows.mapInArrow(_local(largest, room), LOCAL), "exact")
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     texts = local.where("text is not null").select("text", "rep", "best", "n", "len", "hash").repartition(n, "len", "hash")
     owners = texts.mapInArrow(_own(largest, budget), "rep long, keep_id long, group_size long")
     out = local.select("doc_id", "row", "rep", "sha").join(owners, "rep")
-    return out.select("doc_id", "row", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.col("sha").alias("text_sha256"))
+    return out.select("doc_id", "row", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.col("sha").alias("text_sha256")), local
 
 
 def deduplicated(docs: DataFrame, keep: str = "smallest") -> DataFrame:
-    """docs with one row of each group of equal texts, all columns; of rows with one id and text, the first stays."""
-    kept = saved(docs.withColumn("_row", F.monotonically_increasing_id()), "exact-rows")
-    marked = _groups(kept.select("doc_id", "text", F.col("_row").alias("row")), keep)
-    best = marked.where("kept").groupBy("keep_id", "text_sha256").agg(F.min("row").alias("_row")).select("_row")
-    return kept.join(best, "_row", "left_semi").select(*docs.columns)
+    """docs with one row of each group of equal texts, all columns; of rows with one id and text, the first stays.
+
+    Rows are told apart by doc_id where that is a key, else by a number in a table of their own. Only rows that may go
+    are shuffled at the end.
+    """
+    row = unused(docs, "row")
+    if ids_are_keys(docs):
+        kept = docs.withColumn(row, F.col("doc_id").cast("long"))
+    else:
+        kept = saved(docs.withColumn(row, F.monotonically_increasing_id()), "exact-rows")
+    found, local = _groups(kept.select("doc_id", "text", F.col(row).alias("row")), keep)
+    marked = saved(found, "exact-groups")
+    discard(local)
+    best = marked.where("kept").groupBy("keep_id", "text_sha256").agg(F.min("row").alias("row")).select("row")
+    gone = saved(marked.select("row").join(best, "row", "left_anti"), "exact-gone")
+    discard(marked)
+    return without(kept, row, gone).select(*docs.columns)
 
 
 ORACLE = r"""

@@ -25,9 +25,10 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, discard, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, slices, slot, word_hashes
+from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, is_marked, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, slices, slot, unused, without, word_hashes
 
-BINS, ROWS, ATTEMPTS = 128, 4, 48
+#: 42 bands of 6 of the 256 bins: a pair that shares 80 % is in no common bucket with probability 3e-6, one of 40 % in one with 0.16.
+BINS, ROWS, ATTEMPTS = 256, 6, 48
 #: Rounds of stars before the buckets still open are closed exactly; counters of the shingles' frequencies, by hash.
 ROUNDS, COUNTERS = 2, 1 << 20
 
@@ -36,12 +37,23 @@ def shingle_set(raw: bytes, k: int) -> np.ndarray:
     return np.unique(shingle_hashes(word_hashes(raw.translate(LOWER).split()), k))
 
 
+def packed_set(shingles: np.ndarray) -> bytes:
+    """The high 40 bits of each hash of a sorted set: two sets of thousands of shingles meet by chance in 1 of 10^5 cases."""
+    return shingles.astype(">u8").view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    wide = np.zeros((len(raw) // 5, 8), np.uint8)
+    wide[:, 3:] = np.frombuffer(raw, np.uint8).reshape(-1, 5)
+    return wide.reshape(-1).view(">u8").astype(np.int64)
+
+
 def _probes(bins: int) -> np.ndarray:
     rng = np.random.default_rng(20)
     return rng.integers(0, bins, (bins, ATTEMPTS))
 
 
-def signature(shingles: np.ndarray, bins: int = BINS, probes: np.ndarray | None = None) -> np.ndarray:
+def signature(shingles: np.ndarray, bins: int = 128, probes: np.ndarray | None = None) -> np.ndarray:
     """The densified minima of a sorted set: bins are equal ranges of the hash, so a bin's minimum is its first value."""
     probes = _probes(bins) if probes is None else probes
     edges = (np.arange(bins, dtype=np.uint64) << np.uint64(64 - bins.bit_length() + 1)).astype(np.uint64)
@@ -63,7 +75,7 @@ def signature(shingles: np.ndarray, bins: int = BINS, probes: np.ndarray | None
 
 def band_keys(values: np.ndarray, rows: int = ROWS) -> list[int]:
     raw = values.astype("<u8").tobytes()
-    return [xxhash.xxh3_64_intdigest(raw[i : i + 8 * rows], seed=i) - (1 << 63) for i in range(0, len(raw), 8 * rows)]
+    return [xxhash.xxh3_64_intdigest(raw[i : i + 8 * rows], seed=i) - (1 << 63) for i in range(0, len(raw) - 8 * rows + 1, 8 * rows)]
 
 
 SETS = "row long, local long, n_shingles long, set_hi long, set_lo long, bands array<long>"
@@ -105,9 +117,9 @@ def full_sets(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
     """(row, shingles) of the documents whose row is in ids, and perhaps of a few more."""
 
     def make():
-        return lambda part: {"row": column(part, "row"), "shingles": pa.array([shingle_set(x, k).astype("<u8").tobytes() for x in raw_texts(part)], pa.binary())}
+        return lambda part: {"row": column(part, "row"), "shingles": pa.array([packed_set(shingle_set(x, k)) for x in raw_texts(part)], pa.binary())}
 
-    return map_slices(only_marked(docs, "row", marked_bits(ids)), "row long, shingles binary", make)
+    return map_slices(only_marked(docs, "row", ids), "row long, shingles binary", make)
 
 
 def confirmed(pairs: DataFrame, percent: int) -> DataFrame:
@@ -117,10 +129,10 @@ def confirmed(pairs: DataFrame, percent: int) -> DataFrame:
         def test(part):
             keep = []
             for x, y in zip(column(part, "sa").to_pylist(), column(part, "sb").to_pylist(), strict=True):
-                p, q = np.frombuffer(x, "<u8"), np.frombuffer(y, "<u8")
-                if 100 * min(len(p), len(q)) < percent * max(len(p), len(q)):
+                if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
                     keep.append(False)
                     continue
+                p, q = unpacked(x), unpacked(y)
                 both = np.sort(np.concatenate([p, q]))
                 n = int((both[1:] == both[:-1]).sum())
                 keep.append(100 * n >= percent * (len(p) + len(q) - n))
@@ -132,6 +144,35 @@ def confirmed(pairs: DataFrame, percent: int) -> DataFrame:
     return map_slices(pairs, "a long, b long", make)
 
 
+def linked(pairs: DataFrame, packed: DataFrame, percent: int) -> DataFrame:
+    """pairs (id, centre) -> (a, b), the links among them. A member's set is sent to its centre; of the other sets only the centres' are shuffled."""
+    members = pairs.join(packed.select(F.col("row").alias("id"), F.col("shingles").alias("sa")), "id")
+    centres = only_marked(packed, "row", pairs.select("centre").distinct()).select(F.col("row").alias("centre"), F.col("shingles").alias("sb"))
+    both = members.join(centres, "centre").select(F.col("id").alias("a"), F.col("centre").alias("b"), "sa", "sb")
+    return saved(confirmed(both, percent), "links")
+
+
+def members(made: DataFrame, shared: DataFrame) -> DataFrame:
+    """made (row, n_shingles, bands) -> (id, n, key): a row for each band whose key is in shared, and perhaps for a few more."""
+    words = marked_bits(shared)
+    if words is None:
+        return made.select(F.col("row").alias("id"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
+    sent = made.sparkSession.sparkContext.broadcast(words)
+
+    def make():
+        def one(part):
+            bands = column(part, "bands")
+            key = bands.flatten().to_numpy(zero_copy_only=False)
+            of = np.repeat(np.arange(part.num_rows), np.diff(bands.offsets.to_numpy()))
+            at = np.flatnonzero(is_marked(key, sent.value)) if len(key) else np.zeros(0, np.int64)
+            pick = pa.array(of[at])
+            return {"id": column(part, "row").take(pick), "n": column(part, "n_shingles").take(pick), "key": pa.array(key[at].astype(np.int64))}
+
+        return one
+
+    return map_slices(made, "id long, n long, key long", make)
+
+
 def components(edges: DataFrame) -> DataFrame:
     """edges (a, b) -> (id, comp): the least id that each end of an edge reaches.
 
@@ -160,7 +201,7 @@ def frequencies(packed: DataFrame) -> np.ndarray:
     def count(batches):
         seen = np.zeros(COUNTERS, np.int64)
         for part in slices(batches):
-            at, n = np.unique(slot(np.frombuffer(b"".join(column(part, "shingles").to_pylist()), "<i8"), COUNTERS), return_counts=True)
+            at, n = np.unique(slot(unpacked(b"".join(column(part, "shingles").to_pylist())), COUNTERS), return_counts=True)
             seen[at] += n
         at = np.flatnonzero(seen)
         yield pa.RecordBatch.from_pydict({"slot": pa.array(at.astype(np.int32)), "n": pa.array(seen[at])})
@@ -183,7 +224,7 @@ def heads(packed: DataFrame, percent: int) -> DataFrame:
         def one(part):
             out = [[] for _ in range(5)]
             for i, comp, raw in zip(column(part, "id").to_pylist(), column(part, "comp").to_pylist(), column(part, "shingles").to_pylist(), strict=True):
-                s = np.frombuffer(raw, "<i8")
+                s = unpacked(raw)
                 n = len(s)
                 often = shared.value[slot(s, COUNTERS)]
                 order = np.lexsort((s, often))[: n - -(-percent * n // 100) + 1]
@@ -217,61 +258,72 @@ def near_pairs(packed: DataFrame, percent: int) -> DataFrame:
 
 def classes(docs: DataFrame, k: int = 5, percent: int = 80, bins: int = BINS, rows: int = ROWS, rounds: int = ROUNDS) -> DataFrame:
     """docs (row, text), rows distinct, not null -> row, n_shingles, component: the least row that it is linked with, directly or not."""
+    spark = docs.sparkSession
     made = saved(sets(docs, k, bins, rows), "sets")
-    locals_ = saved(made.where("row = local and n_shingles > 0").select("row", "set_hi", "set_lo"), "locals")
-    reps = saved(locals_.groupBy("set_hi", "set_lo").agg(F.min("row").alias("rep")), "reps")
-    owner = saved(locals_.join(reps, ["set_hi", "set_lo"]).select(F.col("row").alias("local"), "rep"), "owner")
-    chosen = owner.where("local = rep").select(F.col("local").alias("row"))
-    banded = saved(made.where("bands is not null").select("row", "n_shingles", "bands").join(chosen, "row").select(F.col("row").alias("id"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key")), "bands")
-    shared = banded.groupBy("key").agg(F.count("*").alias("size")).where("size > 1").select("key")
-    open_ = saved(banded.join(shared, "key").select("key", "id", "n", F.col("id").alias("comp"), F.lit(False).alias("done")), "buckets")
-    for x in (banded, locals_, reps):
+    first = made.where("row = local and n_shingles > 0").select("row", "set_hi", "set_lo")
+    reps = saved(first.groupBy("set_hi", "set_lo").agg(F.min("row").alias("rep")), "reps")
+    owner = saved(first.join(reps, ["set_hi", "set_lo"]).select(F.col("row").alias("local"), "rep"), "owner")
+    banded = saved(made.where("bands is not null").select("row", "n_shingles", "bands").join(reps.select(F.col("rep").alias("row")), "row"), "bands")
+    shared = saved(banded.select(F.explode("bands").alias("key")).groupBy("key").agg(F.count("*").alias("size")).where("size > 1").select("key"), "shared")
+    release(spark)
+    found = saved(members(banded, shared), "members")
+    open_ = saved(found.join(shared, "key").select("key", "id", "n", F.col("id").alias("comp"), F.lit(False).alias("done")), "buckets")
+    for x in (reps, banded, shared, found):
         discard(x)
-    release(docs.sparkSession)
     packed = saved(full_sets(docs, open_.select("id").distinct(), k), "packed")
-    links = saved(packed.select(F.col("row").alias("a"), F.col("row").alias("b")).where("false"), "links")
-    labels = packed.select(F.col("row").alias("id"), F.col("row").alias("comp")).where("false")
-    degree = packed.select(F.col("row").alias("id"), F.col("row").alias("links")).where("false")
+    nothing = packed.select(F.col("row").alias("a"), F.col("row").alias("b")).where("false")
+    made_links: list[DataFrame] = []
+    labels = nothing.select(F.col("a").alias("id"), F.col("b").alias("comp"))
+    degree = nothing.select(F.col("a").alias("id"), F.col("b").alias("links"))
     centres, turn = 1, 0
     while turn < rounds and open_.limit(1).count():
-        # centres: not yet one in this bucket, most links first, then by a hash that differs by round
+        # centres: not yet one in this bucket, most links first, then by a hash that differs by round; each task sends no more than it may give
         order = Window.partitionBy("key").orderBy(F.col("done"), F.coalesce("links", F.lit(0)).desc(), F.xxhash64("id", F.lit(turn)), "id")
         ranked = open_.join(degree, "id", "left").withColumn("r", F.row_number().over(order)).where(F.col("r") <= centres)
         best = saved(ranked.where("not done").select("key", F.col("id").alias("centre"), F.col("n").alias("cn"), F.col("comp").alias("ccomp")), "centres")
         # a pair is made only if it may be a link that joins two components
         may = (F.col("comp") != F.col("ccomp")) & (100 * F.least("n", "cn") >= percent * F.greatest("n", "cn"))
-        rows_, heads = open_.select(F.col("key").alias("k"), "id", "n", "comp"), best.withColumnRenamed("key", "h")
-        star = rows_.join(heads, (F.col("k") == F.col("h")) & may).select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b")).distinct()
-        star = saved(star, "star")
-        pairs = star.join(packed.select(F.col("row").alias("b"), F.col("shingles").alias("sb")), "b").join(packed.select(F.col("row").alias("a"), F.col("shingles").alias("sa")), "a")
-        every = saved(links.unionByName(confirmed(pairs.select("a", "b", "sa", "sb"), percent)), "links")
-        grown = every.count() > links.count()
-        discard(links)
-        links = every
-        if grown:
-            labels = components(links)
-            degree = saved(links.select(F.col("a").alias("id")).union(links.select("b")).groupBy("id").agg(F.count("*").alias("links")), "degree")
+        rows_, heads_ = open_.select(F.col("key").alias("k"), "id", "n", "comp"), best.withColumnRenamed("key", "h")
+        star = saved(rows_.join(heads_, (F.col("k") == F.col("h")) & may).select("id", "centre").distinct(), "star")
+        fresh = linked(star, packed, percent)
+        made_links.append(fresh)
+        if fresh.limit(1).count():
+            every = nothing
+            for x in made_links:
+                every = every.unionByName(x)
+            discard_all(labels, degree)
+            labels = components(every)
+            degree = saved(every.select(F.col("a").alias("id")).union(every.select("b")).groupBy("id").agg(F.count("*").alias("links")), "degree")
         was = best.select("key", F.col("centre").alias("id"), F.lit(True).alias("now"))
         after = open_.drop("comp").join(was, ["key", "id"], "left").join(labels, "id", "left").select("key", "id", "n", F.coalesce("comp", "id").alias("comp"), (F.col("done") | F.col("now").isNotNull()).alias("done"))
         after = saved(after, "after")
         # open: members in different components, and pairs of them that haven't met
         still = saved(after.groupBy("key").agg(F.min("comp").alias("low"), F.max("comp").alias("high"), F.sum((~F.col("done")).cast("int")).alias("left")).where("low != high and left > 1").select("key"), "still")
         before, open_ = open_, saved(after.join(still, "key"), "buckets")
-        for x in (before, best, star, after, still):
-            discard(x)
-        release(docs.sparkSession)
+        discard_all(before, best, star, after, still)
+        release(spark)
         centres, turn = 4 * centres, turn + 1
     if open_.limit(1).count():
         left = saved(open_.select("id", "comp").distinct().join(packed.select(F.col("row").alias("id"), "shingles"), "id"), "left")
         tried = near_pairs(left, percent)
-        pairs = tried.join(packed.select(F.col("row").alias("b"), F.col("shingles").alias("sb")), "b").join(packed.select(F.col("row").alias("a"), F.col("shingles").alias("sa")), "a")
-        every = saved(links.unionByName(confirmed(pairs.select("a", "b", "sa", "sb"), percent)), "links")
+        made_links.append(linked(tried.select(F.col("a").alias("id"), F.col("b").alias("centre")), packed, percent))
+        every = nothing
+        for x in made_links:
+            every = every.unionByName(x)
+        discard_all(labels)
         labels = components(every)
-        for x in (links, left, tried):
-            discard(x)
-        release(docs.sparkSession)
+        discard_all(left, tried)
     out = owner.join(labels.select(F.col("id").alias("rep"), "comp"), "rep", "left").select("local", F.coalesce("comp", "rep").alias("comp"))
-    return made.select("row", "local", "n_shingles").join(saved(out, "owners"), "local", "left").select("row", "n_shingles", F.coalesce("comp", "row").alias("component"))
+    out = saved(made.select("row", "local", "n_shingles").join(out, "local", "left").select("row", "n_shingles", F.coalesce("comp", "row").alias("component")), "classes")
+    discard_all(made, owner, packed, open_, labels, degree, *made_links)
+    release(spark)
+    return out
+
+
+def discard_all(*tables: DataFrame) -> None:
+    for x in tables:
+        if hasattr(x, "pipeflow_path"):
+            discard(x)
 
 
 def components_of(docs: DataFrame, k: int, percent: int = 80) -> DataFrame:
@@ -280,18 +332,24 @@ def components_of(docs: DataFrame, k: int, percent: int = 80) -> DataFrame:
     Rows that repeat an id, or have none, are documents of their own; component_id is the least id in the component
     and kept holds for the rows that bear it. A component of null ids alone has a null component_id.
     """
-    n, ids = docs.agg(F.count("*"), F.count_distinct("doc_id")).first()
-    if n == ids:
-        out = classes(docs.select(F.col("doc_id").cast("long").alias("row"), "text"), k, percent)
+    docs = docs.select(F.col("doc_id").cast("long"), "text")
+    if ids_are_keys(docs):
+        out = classes(docs.withColumnRenamed("doc_id", "row"), k, percent)
         return out.select(F.col("row").alias("doc_id"), "n_shingles", F.col("component").alias("component_id"), (F.col("row") == F.col("component")).alias("kept"))
-    rows = saved(docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long"), "text"), "rows")
-    out = saved(classes(rows.select("row", "text"), k, percent).join(rows.select("row", "doc_id"), "row"), "classes")
+    rows = saved(docs.withColumn("row", F.monotonically_increasing_id()), "rows")
+    found = classes(rows.select("row", "text"), k, percent)
+    out = saved(found.join(rows.select("row", "doc_id"), "row"), "with-ids")
     least = saved(out.groupBy("component").agg(F.min("doc_id").alias("component_id")), "least")
+    discard_all(rows, found)
     return out.join(least, "component").select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
 def deduplicated(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
-    """docs with one row of each component, all columns: that with the least place in the input."""
-    rows = saved(docs.withColumn("_row", F.monotonically_increasing_id()), "near-rows")
-    found = classes(rows.select(F.col("_row").alias("row"), "text"), k, percent)
-    return rows.join(found.where("row = component").select(F.col("row").alias("_row")), "_row", "left_semi").select(*docs.columns)
+    """docs with one row of each component, all columns: that with the least doc_id; where ids are null or repeat, the first of the input."""
+    row = unused(docs, "row")
+    if ids_are_keys(docs):
+        rows = docs.withColumn(row, F.col("doc_id").cast("long"))
+    else:
+        rows = saved(docs.withColumn(row, F.monotonically_increasing_id()), "near-rows")
+    found = classes(rows.select(F.col(row).alias("row"), "text"), k, percent)
+    return without(rows, row, found.where("row != component").select("row")).select(*docs.columns)

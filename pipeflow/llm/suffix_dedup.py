@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import column, discard, is_marked, map_slices, marked_bits, only_marked, raw_texts, release, saved, slices
+from pipeflow.llm.common import column, discard, map_slices, only_marked, raw_texts, release, saved, slices, without
 
 WINDOW, GRAM, BLOCK = 400, 145, 16
 OFFSETS = WINDOW - GRAM + 1  # 256
@@ -137,7 +137,7 @@ def with_texts(docs: DataFrame, wants: DataFrame, f, schema: str) -> DataFrame:
     names = [c for c in wants.columns if c != "row"]
     listed = saved(wants.groupBy("row").agg(F.collect_list(F.struct(*names)).alias("items")).select("row", *(F.col(f"items.{c}").alias(c) for c in names)), "wants")
     # a table of its own, so that a join's side is read and not sorted with the texts
-    joined = only_marked(docs.select("row", "text"), "row", marked_bits(listed.select("row"))).join(listed, "row")
+    joined = only_marked(docs.select("row", "text"), "row", listed.select("row")).join(listed, "row")
 
     def run(batches):
         for part in slices(batches, 64):
@@ -233,8 +233,6 @@ def deduplicated(docs: DataFrame, texts: bool = True) -> DataFrame:
     lose bytes are shuffled.
     """
     cover = repeated(docs)
-    bits = marked_bits(cover.select("row").distinct())
-    shared = docs.sparkSession.sparkContext.broadcast(bits)
 
     def cut(row, raw, items):
         spans = removed(items)
@@ -242,20 +240,10 @@ def deduplicated(docs: DataFrame, texts: bool = True) -> DataFrame:
         return [(row, len(raw), len(raw) - len(kept), len(spans), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace") if texts else None)]
 
     def make():
-        def whole(part):
-            part = part.filter(pa.array(~is_marked(column(part, "row").to_numpy(zero_copy_only=False), shared.value)))
-            return {"row": column(part, "row")} | _uncut(raw_texts(part), texts)
-
-        return whole
-
-    touched = with_texts(docs, cover, cut, CUT)
-    # marked by chance only: in neither part yet
-    chance = only_marked(docs.select("row", "text"), "row", bits).join(cover.select("row").distinct(), "row", "left_anti")
-
-    def make_rest():
         return lambda part: {"row": column(part, "row")} | _uncut(raw_texts(part), texts)
 
-    return touched.unionByName(map_slices(docs.select("row", "text"), CUT, make)).unionByName(map_slices(chance, CUT, make_rest))
+    rest = without(docs.select("row", "text"), "row", cover.select("row").distinct())
+    return with_texts(docs, cover, cut, CUT).unionByName(map_slices(rest, CUT, make))
 
 
 def _uncut(raw: list[bytes], keep: bool) -> dict:
