@@ -5,8 +5,10 @@ index of documents (ids, first frame, place, length) and a skippable frame with
 format: compressed size, plain size and the low 32 bits of the frame's XXH64, then the number of frames. A reader gets
 the tail, finds the frames of the documents it wants and decompresses only those.
 
-Null texts are empty and hold the end id alone. Null doc_ids come first, rows of one doc_id follow each other by text.
-Tasks write under a name of their own attempt and only files named by tasks that ended well are listed, so a lost
+Texts are tokenised where they are scanned; only packed ids are shuffled, two bytes an id where the vocabulary allows.
+
+Null texts are empty and hold the end id alone. Null doc_ids come first, rows of one doc_id follow each other by the
+checksum of their ids, so that a range holds a stretch of a hot id (or of null ids) and not all of it. Tasks write under a name of their own attempt and only files named by tasks that ended well are listed, so a lost
 executor leaves nothing behind in the list.
 """
 
@@ -24,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import column, fresh_path, slices
+from pipeflow.llm.common import column, discard, fresh_path, map_slices, saved, slices
 from pipeflow.llm.tokens import encoder
 
 SKIP_INDEX, SKIP_TABLE, SEEKABLE = 0x184D2A50, 0x184D2A5E, 0x8F92EAB1
@@ -46,7 +48,7 @@ def filesystem(uri: str):
 class FrameWriter:
     """Writes documents of packed ids to an open binary stream."""
 
-    def __init__(self, out, frame_bytes: int = FRAME_BYTES, level: int = 3):
+    def __init__(self, out, frame_bytes: int = FRAME_BYTES, level: int = 1):
         import zstandard
 
         self.out, self.most, self.zip = out, frame_bytes, zstandard.ZstdCompressor(level=level, write_checksum=True, write_content_size=True)
@@ -114,42 +116,65 @@ class FrameReader:
             yield r, raw[4 * int(d["at"]) : 4 * (int(d["at"]) + int(d["length"]))]
 
 
+def tokenised(docs: DataFrame, vocabulary: str) -> DataFrame:
+    """docs (doc_id, text) -> doc_id, wide (four bytes an id, else two), ids with the end id, their crc32."""
+
+    def make():
+        enc = encoder(vocabulary)
+        wide = len(enc.ends) > 1 << 16
+        end = struct.pack("<I", END_ID)
+
+        def one(part):
+            packed = [x + end for x in enc.ids([x or "" for x in column(part, "text").to_pylist()])]
+            crc = pa.array(map(zlib.crc32, packed), pa.int64())
+            ids = packed if wide else [np.frombuffer(x, "<u4").astype("<u2").tobytes() for x in packed]
+            return {"doc_id": column(part, "doc_id"), "wide": pa.array([wide] * len(ids), pa.bool_()), "crc": crc, "ids": pa.array(ids, pa.binary())}
+
+        return one
+
+    return map_slices(docs.select(F.col("doc_id").cast("long"), "text"), "doc_id long, wide boolean, crc long, ids binary", make)
+
+
 def write(docs: DataFrame, folder: str, vocabulary: str) -> DataFrame:
     """Files of docs (doc_id, text) in ascending doc_id order across `folder`; returns the manifest, in file order."""
     spark = docs.sparkSession
     n_files = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
-    ranged = docs.select(F.col("doc_id").cast("long"), F.col("text")).repartitionByRange(n_files, F.col("doc_id").asc_nulls_first())
-    ordered = ranged.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text").withColumn("_part", F.spark_partition_id())
+    # a table, so that neither the sampling of the ranges nor a lost executor tokenises a text again
+    packed = saved(tokenised(docs, vocabulary), "ids")
+    keys = [F.col("doc_id").asc_nulls_first(), F.col("crc"), F.col("row")]
+    ranged = packed.withColumn("row", F.monotonically_increasing_id()).repartitionByRange(n_files, *keys)
+    ordered = ranged.sortWithinPartitions(*keys).select("doc_id", "wide", "ids", F.spark_partition_id().alias("part"))
 
     def put(batches):
         store, root = filesystem(folder)
         store.create_dir(root, recursive=True)
-        enc, end = encoder(vocabulary), struct.pack("<I", END_ID)
         writer = out = None
         name, part_id, n_tokens = "", 0, 0
         for part in slices(batches):
             if not part.num_rows:
                 continue
             if writer is None:
-                part_id = column(part, "_part")[0].as_py()
+                part_id = column(part, "part")[0].as_py()
                 name = f"ids-{part_id:06d}-{uuid.uuid4().hex}.zst"
                 out = store.open_output_stream(f"{root}/{name}", compression=None)
                 writer = FrameWriter(out)
-            for doc_id, packed in zip(column(part, "doc_id").to_pylist(), enc.ids([x or "" for x in column(part, "text").to_pylist()]), strict=True):
-                writer.add(doc_id, packed + end)
-                n_tokens += len(packed) // 4 + 1
+            for doc_id, wide, raw in zip(column(part, "doc_id").to_pylist(), column(part, "wide").to_pylist(), column(part, "ids").to_pylist(), strict=True):
+                plain = raw if wide else np.frombuffer(raw, "<u2").astype("<u4").tobytes()
+                writer.add(doc_id, plain)
+                n_tokens += len(plain) // 4
         if writer is not None:
             writer.close()
             out.close()
             yield pa.RecordBatch.from_pydict({"file": [name], "n_docs": pa.array([len(writer.docs)], pa.int64()), "n_tokens": pa.array([n_tokens], pa.int64()), "part": pa.array([part_id], pa.int32())})
 
     rows = sorted(ordered.mapInArrow(put, MANIFEST).collect(), key=lambda r: r.part)
+    discard(packed)
     return spark.createDataFrame(rows, MANIFEST)
 
 
 def read(spark: SparkSession, folder: str, manifest: DataFrame) -> DataFrame:
     """Each document of the files: doc_id, start, n_tokens, ids_crc32 and ids, from the frames. One task a file."""
-    rows = manifest.orderBy("part").collect()
+    rows = manifest.orderBy("part").collect()  # a row a file
     base = np.concatenate([[0], np.cumsum([r.n_tokens for r in rows])]).tolist()
     listed = spark.createDataFrame([(r.file, b) for r, b in zip(rows, base, strict=False)], "file string, base long")
 
