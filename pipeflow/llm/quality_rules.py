@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import column, map_slices, mixed, raw_texts, shingle_hashes, slices, word_hashes
+from pipeflow.llm.common import column, map_slices, mixed, only_marked, raw_texts, shingle_hashes, slices, small_batches, word_hashes
 
 BLANK, SYMBOLS = b" \t\n\r\x0b\x0c", b"#*$%&|<>"
 MIN_WORDS, MAX_REPEAT_PERCENT, REPEAT_WINDOW = 10, 20, 5
@@ -41,37 +41,40 @@ def grams(hashes: np.ndarray, buckets: int) -> np.ndarray:
     return np.concatenate([one, two]).astype(np.int64)
 
 
-def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing: float = 1e5) -> RatioModel:
-    """raw (doc_id, text); target_ids (doc_id): the trusted documents, looked up by id.
-
-    Every text of both sides is counted. Each task adds up its own buckets first, so that the shuffle carries at most
-    `buckets` rows a task; the driver gets one row a bucket. The target is smoothed towards the raw distribution with
-    `smoothing` pseudo-counts, so an n-gram that neither side has scores 0.
-    """
-    # trusted ids grow with the corpus, so the join is one of two sorted sides at every size
-    trusted = target_ids.select("doc_id").distinct().withColumn("_target", F.lit(True)).hint("merge")
-    marked = raw.select("doc_id", "text").join(trusted, "doc_id", "left")
+def gram_counts(texts: DataFrame, buckets: int) -> np.ndarray:
+    """N-grams of all texts by bucket. Each task adds up its own buckets first: at most `buckets` rows a task are shuffled, one a bucket comes to the driver."""
 
     def count(batches):
-        total = np.zeros((2, buckets), np.int64)
+        total = np.zeros(buckets, np.int64)
         for part in slices(batches):
-            is_target = column(part, "_target").to_pylist()
             at = [grams(word_hashes(x.split()), buckets) for x in raw_texts(part)]
-            for row, keep in ((0, at), (1, [a for a, t in zip(at, is_target, strict=True) if t])):
-                if keep:
-                    total[row] += np.bincount(np.concatenate(keep), minlength=buckets)
-        seen = np.flatnonzero(total[0])
-        yield pa.RecordBatch.from_pydict({"bucket": pa.array(seen.astype(np.int32)), "n_raw": total[0][seen], "n_target": total[1][seen]})
-
-    rows = marked.mapInArrow(count, "bucket int, n_raw long, n_target long").groupBy("bucket").agg(F.sum("n_raw").alias("n_raw"), F.sum("n_target").alias("n_target")).collect()
-    n = np.zeros((2, buckets))
-    for r in rows:
-        n[:, r.bucket] = r.n_raw, r.n_target
+            if at:
+                total += np.bincount(np.concatenate(at), minlength=buckets)
+        seen = np.flatnonzero(total)
+        yield pa.RecordBatch.from_pydict({"bucket": pa.array(seen.astype(np.int32)), "n": pa.array(total[seen])})
+
+    small_batches(texts.sparkSession)
+    out = np.zeros(buckets)
+    for r in texts.select("text").mapInArrow(count, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).collect():
+        out[r.bucket] = r.n
+    return out
+
+
+def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing: float = 0.05) -> RatioModel:
+    """raw (doc_id, text); target_ids (doc_id): the trusted documents, looked up by id.
+
+    Every text of both sides is counted; only texts that may be trusted ones are shuffled, to meet their ids. The target
+    is smoothed towards the raw distribution with pseudo-counts, `smoothing` times its own n-grams, so that an n-gram
+    that neither side has scores 0 and scores don't follow the size of the corpus.
+    """
+    trusted = target_ids.where("doc_id is not null").select("doc_id").distinct()
+    target = only_marked(raw.select("doc_id", "text"), "doc_id", trusted).join(trusted.hint("merge"), "doc_id", "left_semi")
+    n = np.stack([gram_counts(raw, buckets), gram_counts(target, buckets)])
     ratios = np.zeros(buckets)
     for half in (slice(0, buckets // 2), slice(buckets // 2, buckets)):
         a, b = n[0, half], n[1, half]
         p = a / max(a.sum(), 1)
-        q = (b + smoothing * p) / (b.sum() + smoothing)
+        q = (b / b.sum() + smoothing * p) / (1 + smoothing) if b.sum() else p
         with np.errstate(divide="ignore", invalid="ignore"):
             ratios[half] = np.where(a > 0, np.log(q / p), 0.0)
     return RatioModel(ratios.astype(np.float32))

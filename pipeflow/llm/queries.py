@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pipeflow.llm import exact_dedup, mixing, near_dedup, packing, quality_classifier, quality_rules, suffix_dedup, token_counts, token_output, toxicity
-from pipeflow.llm.common import documents, labels, remainder
+from pipeflow.llm.common import documents, labels, only_marked, remainder
 from pipeflow.llm.tokens import vocabulary
 
 TOKENIZER = "word_bpe_49k.json"
@@ -27,11 +27,15 @@ def op3_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The whole table as one batch of inserts, handed in twice; then the totals."""
-    changes = documents(spark, sf_dir).select("doc_id", "text", "source", "lang", F.lit(False).alias("deleted"))
+    """The whole table as a batch of inserts, handed in twice; documents labelled 0 for quality revised, their digits masked; those labelled toxic deleted; then the totals."""
+    docs, marks = documents(spark, sf_dir), labels(spark, sf_dir)
+    changes = docs.select("doc_id", "text", "source", "lang", F.lit(False).alias("deleted"))
+    poor = marks.where("quality = 0 and doc_id is not null").select("doc_id").distinct()
+    revised = only_marked(changes, "doc_id", poor).join(poor, "doc_id", "left_semi").withColumn("text", F.regexp_replace("text", "[0-9]+", "0"))
+    toxic = marks.where("toxic = 1").select("doc_id", *(F.lit(None).cast("string").alias(c) for c in ("text", "source", "lang")), F.lit(True).alias("deleted"))
     store = token_counts.Rollup(spark)
-    for _ in range(2):
-        store.apply(1, changes, vocabulary(TOKENIZER), "word_bpe_49k")
+    for batch, rows in ((1, changes), (1, changes), (2, revised), (3, toxic)):
+        store.apply(batch, rows, vocabulary(TOKENIZER), "word_bpe_49k")
     return store.totals()
 
 
@@ -61,7 +65,7 @@ def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return suffix_dedup.digest(documents(spark, sf_dir).select("doc_id", "text"))
+    return suffix_dedup.digest(documents(spark, sf_dir).select("doc_id", "text")).withColumn("touched", F.col("n_removed") > 0)
 
 
 def op9_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -80,4 +84,4 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_best_fit_packing, op3_mixing, op4_token_counts, op5_quality_classifier, op6_minhash_dedup, op7_toxicity, op8_suffix_dedup, op9_token_output, op10_exact_dedup, pipeline)}
 
-ORACLES = {"op3_mixing": mixing.ORACLE, "op10_exact_dedup": exact_dedup.ORACLE}
+ORACLES = {"op10_exact_dedup": exact_dedup.ORACLE}
