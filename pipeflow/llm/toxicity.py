@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import bounded, column, map_slices, raw_texts
+from pipeflow.llm.common import bounded, column, map_slices, raw_texts, resident, slices, small_batches
 
 WINDOW, STRIDE = 64, 16
 WORD_ROWS, CHAR_ROWS, EMBED, HIDDEN = 1 << 16, 1 << 12, 8, 8
@@ -89,6 +89,38 @@ def word_slots(word: bytes) -> tuple[int, list[int], list[int]]:
     return zlib.crc32(word) % WORD_ROWS, [zlib.crc32(w[i : i + 3]) % CHAR_ROWS for i in range(max(len(w) - 2, 1))], [WORD_ROWS + zlib.crc32(word[:k], k) % WORD_ROWS for k in BEGIN]
 
 
+#: The byte table of CRC-32 with the reversed polynomial EDB88320, as in zlib.
+CRC = np.arange(256, dtype=np.uint32)
+for _ in range(8):
+    CRC = np.where(CRC & 1, (CRC >> 1) ^ np.uint32(0xEDB88320), CRC >> 1).astype(np.uint32)
+
+
+def crc_step(crc: np.ndarray, byte: np.ndarray) -> np.ndarray:
+    return CRC[(crc ^ byte) & np.uint32(255)] ^ (crc >> np.uint32(8))
+
+
+def all_slots(words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """word_slots of many words that aren't empty, as arrays: word rows, trigram rows one word after another, their counts, rows of the beginnings."""
+    b = np.frombuffer(b"^" + b"$^".join(words) + b"$", np.uint8).astype(np.uint32)
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    ends = np.cumsum(sizes + 2)
+    inside = np.ones(len(b), bool)
+    inside[ends - 1] = inside[ends - 2] = False  # no trigram begins there
+    at = np.flatnonzero(inside)
+    crc = np.full(len(at), 0xFFFFFFFF, np.uint32)
+    for j in range(3):
+        crc = crc_step(crc, b[at + j])
+    begins = []
+    for k in BEGIN:
+        c = np.full(len(words), 0xFFFFFFFF ^ k, np.uint32)
+        for j in range(k):
+            here = j < sizes
+            c = np.where(here, crc_step(c, b[np.where(here, ends - sizes - 1 + j, 0)]), c)
+        begins.append(WORD_ROWS + (~c % np.uint32(WORD_ROWS)).astype(np.int64))
+    rows = np.fromiter(map(zlib.crc32, words), np.uint32, len(words)) % np.uint32(WORD_ROWS)
+    return rows.astype(np.int64), (~crc % np.uint32(CHAR_ROWS)).astype(np.int64), sizes, np.stack(begins, axis=1)
+
+
 def sigmoid(z):
     return 0.5 * (1 + np.tanh(0.5 * z))
 
@@ -176,12 +208,13 @@ def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[
     g = np.random.default_rng(seed)
     arrays = [np.array(d, np.int64) for d in docs]
     width = max(len(s[1]) for s in slots)
-    grams = np.zeros((len(slots), width), np.int64)
+    grams = np.zeros((len(slots), width), np.int32)
     share = np.zeros((len(slots), width, 1), np.float32)
     for i, (_, c, _) in enumerate(slots):
         grams[i, : len(c)] = c
         share[i, : len(c)] = 1 / len(c)
     rows = np.array([[s[0], *s[2]] for s in slots])  # the word's own row, then its beginnings'
+    del docs, slots  # the arrays take a tenth of them
     seen = np.zeros(2 * WORD_ROWS, np.int64)
     for d in arrays:
         seen[np.unique(rows[d])] += 1
@@ -296,24 +329,19 @@ class Scorer:
         self.rows: dict[bytes, int] = {}
 
     def _learn(self, words: set[bytes]) -> None:
-        keys: dict[bytes, list[bytes]] = {}
-        for w in words:
-            keys.setdefault(word_key(w), []).append(w)
+        order = list(words)
+        numbers: dict[bytes, int] = {}
+        of = [numbers.setdefault(word_key(w), len(numbers)) for w in order]
         at = len(self.rows) + 1
-        need = at + len(words)
+        need = at + len(order)
         if need > len(self.table):
             self.table = np.concatenate([self.table, np.zeros((max(need - len(self.table), len(self.table)), INPUTS), np.float32)])
-        slots = [word_slots(k) for k in keys]
-        counts = np.array([len(c) for _, c, _ in slots])
-        grams = self.network.p["char"][np.concatenate([c for _, c, _ in slots])]
-        chars = np.add.reduceat(grams, np.concatenate([[0], np.cumsum(counts)[:-1]])) / counts[:, None]
+        rows, grams, counts, begins = all_slots(list(numbers))
+        chars = np.add.reduceat(self.network.p["char"][grams], np.cumsum(counts) - counts) / counts[:, None]
         word = self.network.p["word"]
-        x = np.concatenate([word[[r for r, _, _ in slots]], chars, word[[b for _, _, b in slots]].mean(axis=1)], axis=1)
-        for value, same in zip(x, keys.values(), strict=True):
-            for w in same:
-                self.table[at] = value
-                self.rows[w] = at
-                at += 1
+        x = np.concatenate([word[rows], chars, word[begins].mean(axis=1)], axis=1)
+        self.table[at:need] = x[of]
+        self.rows.update(zip(order, range(at, need), strict=True))
 
     def scores(self, texts: list[bytes]) -> np.ndarray:
         out = np.full(len(texts), -np.inf)
@@ -359,6 +387,7 @@ def score(docs: DataFrame, network: Network) -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(network)
 
     def make():
+        resident()
         scorer = Scorer(shared.value)
         return lambda part: {"doc_id": column(part, "doc_id"), "score": pa.array(scorer.scores(raw_texts(part)).astype(np.float64))}
 
@@ -370,10 +399,10 @@ def clean(docs: DataFrame, network: Network, threshold: float = 0.3) -> DataFram
     shared = docs.sparkSession.sparkContext.broadcast(network)
 
     def run(batches):
-        from pipeflow.llm.common import slices
-
+        resident()
         scorer = Scorer(shared.value)
         for part in slices(batches):
             yield part.filter(pa.array(scorer.scores(raw_texts(part)) < threshold))
 
+    small_batches(docs.sparkSession)
     return docs.mapInArrow(run, docs.schema)
