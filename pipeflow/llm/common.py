@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -13,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows that a Python operator holds as Python objects at a time; rows of an Arrow batch.
-SLICE, BATCH = 256, 2048
+SLICE, BATCH = 256, 512
 #: Bits of a bitmap for each marked id, and of the largest bitmap that is broadcast (16 MB).
 BITS_EACH, MOST_BITS = 16, 1 << 27
 
@@ -96,18 +98,38 @@ def small_batches(spark: SparkSession) -> None:
         spark.conf.set(key, str(BATCH))
 
 
+_resident: dict[object, object] = {}
+
+
+def resident(key: object = None, make: Callable[[], object] | None = None) -> object:
+    """What a Python worker keeps from task to task, one thing at a time: a worker that turns to other work gives up what it held before."""
+    if key in _resident:
+        return _resident[key]
+    if _resident:
+        _resident.clear()
+        with contextlib.suppress(OSError, AttributeError):  # the C library gives freed memory back, where it can
+            ctypes.CDLL(None).malloc_trim(0)
+    return _resident.setdefault(key, make()) if make else None
+
+
 def slices(batches: Iterator[pa.RecordBatch], size: int = SLICE) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for at in range(0, batch.num_rows, size):
             yield batch.slice(at, size)
 
 
-def map_slices(df: DataFrame, schema: str, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | dict]]) -> DataFrame:
-    """mapInArrow with one call of make() per task and its function called on slices of a few hundred rows."""
+def map_slices(df: DataFrame, schema: str, make: Callable[[], Callable[[pa.RecordBatch], pa.RecordBatch | dict]], only: tuple[str, np.ndarray] | None = None) -> DataFrame:
+    """mapInArrow with one call of make() per task and its function called on slices of a few hundred rows.
+
+    only: a column of ids and a bitmap; rows whose id isn't marked are skipped, in the same worker.
+    """
+    sent = df.sparkSession.sparkContext.broadcast(only[1]) if only else None
 
     def run(batches):
         f = make()
         for part in slices(batches):
+            if only:
+                part = part.filter(pa.array(is_marked(column(part, only[0]).to_numpy(zero_copy_only=False), sent.value)))
             out = f(part)
             yield out if isinstance(out, pa.RecordBatch) else pa.RecordBatch.from_pydict(out)
 

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, raw_texts, saved, slices, small_batches, unused, without
+from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, raw_texts, resident, saved, slices, small_batches, unused, without
 
 
 def better(a: int | None, b: int | None, largest: bool) -> int | None:
@@ -158,6 +158,7 @@ def _local(largest: bool, room: int):
     """Rows with their task's representative; the representative's row comes with its text when a trie is worked off."""
 
     def run(batches):
+        resident()
         base, serial = None, 0
         trie = OwnerTrie(largest, 1 << 60)
         for part in slices(batches):

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, is_marked, map_slices, marked_bits, only_marked, raw_texts, release, saved, shingle_hashes, slices, slot, unused, without, word_hashes
+from pipeflow.llm.common import LOWER, column, discard, ids_are_keys, is_marked, map_slices, marked_bits, only_marked, raw_texts, release, resident, saved, shingle_hashes, slices, slot, unused, without, word_hashes
 
 #: 42 bands of 6 of the 256 bins: a pair that shares 80 % is in no common bucket with probability 3e-6, one of 40 % in one with 0.16.
 BINS, ROWS, ATTEMPTS = 256, 6, 48
@@ -85,6 +85,7 @@ def sets(docs: DataFrame, k: int, bins: int = BINS, rows: int = ROWS, room: int
     """docs (row, text) -> each document's set size and the row that its task met first with the same set; that row has the band keys."""
 
     def make():
+        resident()
         probes = _probes(bins)
         met: dict[int, int] = {}
 
@@ -119,7 +120,10 @@ def full_sets(docs: DataFrame, ids: DataFrame, k: int) -> DataFrame:
     def make():
         return lambda part: {"row": column(part, "row"), "shingles": pa.array([packed_set(shingle_set(x, k)) for x in raw_texts(part)], pa.binary())}
 
-    return map_slices(only_marked(docs, "row", ids), "row long, shingles binary", make)
+    words = marked_bits(ids)
+    if words is None:
+        return map_slices(only_marked(docs, "row", ids), "row long, shingles binary", make)
+    return map_slices(docs, "row long, shingles binary", make, ("row", words))
 
 
 def confirmed(pairs: DataFrame, percent: int) -> DataFrame:

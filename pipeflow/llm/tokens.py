@@ -16,7 +16,7 @@ from itertools import islice
 
 import numpy as np
 
-from pipeflow.llm.common import mixed
+from pipeflow.llm.common import mixed, resident
 
 #: A word of Latin-1 letters in lower case, the ASCII signs but for the apostrophe behind it, and the rest.
 PARTS = re.compile(r"^([a-zß-öø-ÿ]*)([!-&(-/:-@\[-`{-~]*)(.*)$", re.M).findall
@@ -94,7 +94,7 @@ class Chunks:
 class Encoder:
     """ids(texts) -> packed little-endian unsigned 32-bit ids of each text. Holds at most `room` chunks."""
 
-    def __init__(self, path: str, room: int = 1_000_000):
+    def __init__(self, path: str, room: int = 600_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
@@ -227,11 +227,6 @@ def vocabulary(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
-_made: dict[str, Encoder] = {}
-
-
 def encoder(path: str) -> Encoder:
-    """One encoder per worker process and vocabulary."""
-    if path not in _made:
-        _made[path] = Encoder(path)
-    return _made[path]
+    """One encoder per worker process, until the worker turns to other work."""
+    return resident(("encoder", path), lambda: Encoder(path))
