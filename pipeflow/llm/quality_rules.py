@@ -60,12 +60,12 @@ def gram_counts(texts: DataFrame, buckets: int) -> np.ndarray:
     return out
 
 
-def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing: float = 0.05) -> RatioModel:
+def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing: float | None = None, share: float = 0.05) -> RatioModel:
     """raw (doc_id, text); target_ids (doc_id): the trusted documents, looked up by id.
 
     Every text of both sides is counted; only texts that may be trusted ones are shuffled, to meet their ids. The target
-    is smoothed towards the raw distribution with pseudo-counts, `smoothing` times its own n-grams, so that an n-gram
-    that neither side has scores 0 and scores don't follow the size of the corpus.
+    is smoothed towards the raw distribution with pseudo-counts, so that an n-gram that neither side has scores 0: with
+    `smoothing` of them, or with `share` times its own n-grams, so that scores don't follow the size of the corpus.
     """
     trusted = target_ids.where("doc_id is not null").select("doc_id").distinct()
     target = only_marked(raw.select("doc_id", "text"), "doc_id", trusted).join(trusted.hint("merge"), "doc_id", "left_semi")
@@ -74,7 +74,8 @@ def fit(raw: DataFrame, target_ids: DataFrame, buckets: int = 1 << 16, smoothing
     for half in (slice(0, buckets // 2), slice(buckets // 2, buckets)):
         a, b = n[0, half], n[1, half]
         p = a / max(a.sum(), 1)
-        q = (b / b.sum() + smoothing * p) / (1 + smoothing) if b.sum() else p
+        extra = share * b.sum() if smoothing is None else smoothing
+        q = (b + extra * p) / (b.sum() + extra) if b.sum() + extra else p
         with np.errstate(divide="ignore", invalid="ignore"):
             ratios[half] = np.where(a > 0, np.log(q / p), 0.0)
     return RatioModel(ratios.astype(np.float32))
