@@ -116,6 +116,13 @@ def curve_df(asks: DataFrame, lambdas: list[float]) -> DataFrame:
     return asks.withColumn("lam", F.explode(F.array(*map(F.lit, lambdas)))).groupBy("phase", "lam").agg(F.sum(each).alias("total"))
 
 
+def plan_bytes(df) -> int:
+    """Bytes that the leaves of df's plan hold, where Spark knows them: what a blocking component has to sort, about."""
+    leaves = df._jdf.queryExecution().optimizedPlan().collectLeaves()
+    sizes = [int(leaves.apply(i).stats().sizeInBytes()) for i in range(leaves.size())]
+    return sum(s for s in sizes if s < 1 << 60)  # unknown sizes are near 2^63
+
+
 def partitions_for(est_bytes: int, share: float, cores: int, most: int = 200_000) -> int:
     """Partitions of a blocking component so that what a core sorts at a time fits its part of the share."""
     return int(min(most, max(cores, math.ceil(est_bytes * cores / max(share, 1)))))

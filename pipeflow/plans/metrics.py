@@ -5,22 +5,34 @@ from __future__ import annotations
 import io
 import re
 import uuid
-from collections.abc import Callable
-from contextlib import redirect_stdout
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager, redirect_stdout
 
 from pyspark.sql import DataFrame, SparkSession
 
 STAGE = "stage int, in_records long, out_records long, shuffle_read long, shuffle_write long, spilled long, seconds double"
 
 
-def run_in_group(spark: SparkSession, job: Callable[[], object]) -> str:
-    """Runs job under a job group of its own; the group's name."""
+@contextmanager
+def job_group(spark: SparkSession) -> Iterator[str]:
+    """Jobs inside belong to a group of their own; the group's name."""
     group = f"pipeflow-{uuid.uuid4().hex}"
     spark.sparkContext.setJobGroup(group, group)
     try:
-        job()
+        yield group
     finally:
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+
+
+def stage_seconds(spark: SparkSession, group: str) -> list[tuple[int, float]]:
+    """(stage, seconds its tasks ran) of the group's stages."""
+    return [(r.stage, r.seconds) for r in stage_traffic(spark, group).select("stage", "seconds").collect()]
+
+
+def run_in_group(spark: SparkSession, job: Callable[[], object]) -> str:
+    """Runs job under a job group of its own; the group's name."""
+    with job_group(spark) as group:
+        job()
     return group
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import inspect
+import threading
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -78,6 +79,60 @@ def pace_error(curve: DataFrame, keys: list[str]) -> DataFrame:
     return curve.groupBy(*keys).agg(F.max(F.abs(F.col("p") - F.col("t"))).alias("err"))
 
 
+def tasks_done(spark: SparkSession, group: str) -> tuple[int, int]:
+    """(tasks that have ended, tasks) of the stages of a job group that are known so far."""
+    tracker = spark.sparkContext.statusTracker()
+    done = total = 0
+    for job in tracker.getJobIdsForGroup(group):
+        info = tracker.getJobInfo(job)
+        for stage in info.stageIds if info else ():
+            s = tracker.getStageInfo(stage)
+            if s:
+                done, total = done + s.numCompletedTasks, total + s.numTasks
+    return done, total
+
+
+class Ticker:
+    """Moves the bar while a phase runs: every few moments, by the tasks of the phase's job group that have ended.
+
+    The bar never goes back, though later stages add tasks, and stays below the phase's end until the phase has ended.
+    """
+
+    def __init__(self, spark: SparkSession, group: str, shares: list[float], phase: int, ticks: list[tuple[int, float]], every: float = 0.05):
+        self.args, self.ticks, self.every = (spark, group, shares, phase), ticks, every
+        self.stop = threading.Event()
+        self.thread = threading.Thread(target=self._run, daemon=True)
+
+    def _run(self) -> None:
+        spark, group, shares, phase = self.args
+        at = fraction(shares, phase, 0, 1)
+        while not self.stop.wait(self.every):
+            done, total = tasks_done(spark, group)
+            now = fraction(shares, phase, done, total) if total else at
+            if done < total and now > at:
+                at = now
+                self.ticks.append((phase, at))
+
+    def __enter__(self) -> Ticker:
+        self.thread.start()
+        return self
+
+    def __exit__(self, *failed) -> None:
+        self.stop.set()
+        self.thread.join()
+
+
+def phase_seconds(stages: list[tuple[int, float]], phases: int) -> list[float]:
+    """Seconds of each phase of a run that was one job: its stages in order, (number, seconds).
+
+    An exchange ends a phase, so the last phases own one stage each, and all stages before them read the sources of the first.
+    """
+    out = [0.0] * phases
+    for k, (_, seconds) in enumerate(sorted(stages)):
+        out[max(0, k - (len(stages) - phases))] += seconds
+    return out
+
+
 def from_streaming(query, total: int) -> float:
     """The bar of a stream over a bounded source: rows read so far against those there are."""
     return min(1.0, sum(p["numInputRows"] for p in query.recentProgress) / total) if total else 1.0

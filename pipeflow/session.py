@@ -23,9 +23,11 @@ def partitions(spark: SparkSession) -> int:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or where it is unset a folder of this run."""
+    """spark.checkpoint.dir; only a local session gets a folder of its own where it is unset."""
     at = spark.conf.get("spark.checkpoint.dir", None)
     if not at:
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         at = f"file://{tempfile.mkdtemp(prefix='pipeflow-')}"
         spark.conf.set("spark.checkpoint.dir", at)
     return at.rstrip("/")

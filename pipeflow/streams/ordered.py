@@ -41,8 +41,12 @@ class OrderedStream:
 
 def with_positions(df: DataFrame, *order: str) -> DataFrame:
     """df with pos, its place in the order. Two passes over a stored range sort; the driver sees one count a partition."""
-    spark = df.sparkSession
-    ranged = df.repartitionByRange(partitions(spark), *order).sortWithinPartitions(*order)
+    return numbered(df.repartitionByRange(partitions(df.sparkSession), *order).sortWithinPartitions(*order))
+
+
+def numbered(ranged: DataFrame) -> DataFrame:
+    """A stream in order from partition to partition, with each row's place."""
+    spark = ranged.sparkSession
     local = F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1))
     stored = materialise(ranged.withColumn("_part", F.spark_partition_id()).withColumn("_at", local), "positions")
     counts = {r["_part"]: r["count"] for r in stored.groupBy("_part").count().collect()}

@@ -10,14 +10,14 @@ from pyspark.sql import functions as F
 from pipeflow.grid import mappings as maps
 from pipeflow.grid import regrid
 from pipeflow.grid.shape import GridShape, div, table_grid
-from pipeflow.plans import cost, memory, order, phases, pipeline, progress
+from pipeflow.plans import cost, memory, metrics, order, phases, pipeline, progress
 from pipeflow.plans.graph import regrid_graph
 from pipeflow.plans.parallel import worker_of
 from pipeflow.registry import add, query
-from pipeflow.session import materialise
+from pipeflow.session import fresh_path, materialise
 from pipeflow.sources import table
 from pipeflow.streams import extsort
-from pipeflow.streams.ordered import with_positions, zip_streams
+from pipeflow.streams.ordered import numbered, with_positions, zip_streams
 
 GRIDS = {"orders": ("o_orderkey", "o_totalprice", 100), "events": ("event_id", "value", 100), "part": ("p_partkey", "p_retailprice", 50)}
 
@@ -386,9 +386,16 @@ def events_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 def blocking_case(spark: SparkSession, sf_dir: str, kind: str, passive: bool) -> DataFrame:
     """A stream through a blocking component; the passive one's consumer pulls it beside the stream that it came from."""
     if kind == "sort":
-        s = table(spark, sf_dir, "lineitem")
-        out = with_positions(s, *LINE_KEY).select("pos", *LINE_OUT)
-        return zip_streams(out.select("pos"), out) if passive else out
+        s, sort = table(spark, sf_dir, "lineitem"), pipeline.Sort(*LINE_KEY, name="S")
+        if not passive:
+            p = pipeline.Pipeline(pipeline.Source(s, "read") | sort | pipeline.Map(numbered, "number"))
+        else:
+            sort = sort.pulled()
+            beside = pipeline.Source(spark.range(s.count()).withColumnRenamed("id", "pos"), "count")
+            # a pulled sort gives its list; the consumer that reads it beside the numbers brings the order
+            scan = pipeline.Join(lambda numbers, pulled: zip_streams(numbers, with_positions(pulled, *LINE_KEY)), "scan")
+            p = pipeline.Pipeline(pipeline.Source(s, "read") | sort.input, beside | scan, extra=[(sort.output, scan)])
+        return next(iter(p.run(spark)[0].values())).select("pos", *LINE_OUT)
     s = events_stream(spark, sf_dir)
     n = s.count()
     made = pipeline.Delay(name="X") if kind == "delay" else pipeline.Reverse(name="X")
@@ -423,13 +430,45 @@ def parallel_assignment(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.groupBy(worker_of(F.col("pos"), workers=4).alias("worker")).agg(F.count("*").alias("items"), F.count_distinct(div(F.col("pos"), 2048)).alias("batches"))
 
 
+@query("parallel_mapping_orders", "SELECT CAST(o_orderkey AS BIGINT) AS pos, (o_orderkey % (SELECT count(*) // 100 FROM orders)) * 100 + o_orderkey // (SELECT count(*) // 100 FROM orders) AS src FROM orders")
+def parallel_mapping(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The regridding's cell mapper run by four workers, each dealt every fourth batch of 2048 items."""
+    _, shape = table_grid(spark, sf_dir, "orders", "o_orderkey", "o_totalprice", width=100)
+    f = maps.transpose(shape)
+    cells = pipeline.Source(spark.range(f.target.n).withColumnRenamed("id", "pos"), "cells")
+    mapper = pipeline.parallel(pipeline.Map(lambda d: d.withColumn("src", f.of(F.col("pos")).cast("long")), "map"), workers=4)
+    return next(iter(pipeline.Pipeline(cells | mapper).run(spark)[0].values())).select("pos", "src")
+
+
+@query("progress_three_scales_part", "SELECT CAST(scale AS INTEGER) AS scale, CAST(3 AS INTEGER) AS phases, CAST(scale > 1 AS BOOLEAN) AS has_history, true AS largest_gives_shares FROM (VALUES (1), (2), (3)) v(scale)")
+def progress_three_scales(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The regridding of part's grid, then of two larger grids, against one store: each run's bar uses the shares of the largest run before it."""
+    a, shape = table_grid(spark, sf_dir, "part", "p_partkey", "p_retailprice", width=50)
+    store = progress.ProgressStore(spark, fresh_path(spark, "times"))
+    rows = []
+    for scale in (1, 2, 3):
+        grown = GridShape(shape.width, shape.height * scale)
+        cells = a
+        for i in range(1, scale):
+            cells = cells.unionByName(a.withColumn("cell", F.col("cell") + i * shape.n))
+        before = store.shares("three scales")
+        report = pipeline.regrid(cells, maps.transpose(grown)).run(spark, mode="by_phase", size=grown.n, store=store, identity="three scales", action=lambda d: d.write.format("noop").mode("overwrite").save())[1]
+        after, whole = store.shares("three scales"), sum(report.seconds)
+        rows.append((scale, len(report.phases), before is not None, all(abs(x - y / whole) < 1e-9 for x, y in zip(after, report.seconds, strict=True))))
+    return spark.createDataFrame(rows, "scale int, phases int, has_history boolean, largest_gives_shares boolean")
+
+
 def chain_case(spark: SparkSession, sf_dir: str, k: int, mode: str) -> DataFrame:
     """k small components one after another over lineitem."""
     s = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.col("l_suppkey").alias("value"))
-    chain = pipeline.Source(s, "read") | pipeline.Map(lambda d: d, "start")
+    return next(iter(pipeline.Pipeline(chain_of(s, k)).run(spark, mode=mode)[0].values()))
+
+
+def chain_of(s: DataFrame, k: int) -> pipeline.Chain:
+    chain = pipeline.Source(s, "read")
     for i in range(k):
         chain = chain | pipeline.Map(lambda d, i=i: d.withColumn("value", (F.col("value") * 3 + i) % 1000003), f"map{i}")
-    return next(iter(pipeline.Pipeline(chain).run(spark, mode=mode)[0].values()))
+    return chain
 
 
 def chain_sql(k: int) -> str:
@@ -439,19 +478,35 @@ def chain_sql(k: int) -> str:
     return f"SELECT l_orderkey, l_linenumber, l_partkey, {value} AS value FROM lineitem"
 
 
-add("chain_k8_lineitem", partial(chain_case, k=8, mode="fused"), chain_sql(8))
-add("chain_k4_materialised_lineitem", partial(chain_case, k=4, mode="materialised"), chain_sql(4))
+for _k in (1, 2, 4, 8, 16):
+    add(f"chain_k{_k}_lineitem", partial(chain_case, k=_k, mode="fused"), chain_sql(_k))
+    add(f"chain_k{_k}_materialised_lineitem", partial(chain_case, k=_k, mode="materialised"), chain_sql(_k))
 
 
 @query("chain_traffic_lineitem", "SELECT CAST(k AS INTEGER) AS k, CAST(2 * k * n AS BIGINT) AS staged, CAST(2 * n AS BIGINT) AS fused, round(1 - 1.0::DOUBLE / k, 6) AS saved FROM (VALUES (1), (2), (4), (8), (16)) v(k), (SELECT count(*) AS n FROM lineitem)")
 def chain_traffic(spark: SparkSession, sf_dir: str) -> DataFrame:
-    n = table(spark, sf_dir, "lineitem").count()
-    return spark.createDataFrame([(k, 2 * k * n, 2 * n, round(cost.saving((k, k), (1, 1)), 6)) for k in (1, 2, 4, 8, 16)], "k int, staged long, fused long, saved double")
+    """Records read and written by the tasks of chains that run, every component's list written or only the last one's."""
+    s = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", F.col("l_suppkey").alias("value"))
 
+    def moved(k: int, mode: str) -> int:
+        # materialised, the last list is the output; fused, the output is what is written
+        def job() -> None:
+            materialise(next(iter(pipeline.Pipeline(chain_of(s, k)).run(spark)[0].values())), "output")
+
+        if mode == "fused":
+            groups = [metrics.run_in_group(spark, job)]
+        else:
+            groups = pipeline.Pipeline(chain_of(s, k)).run(spark, mode=mode)[1].groups
+        return sum(int(metrics.stage_traffic(spark, g).agg(F.sum(F.col("in_records") + F.col("out_records"))).first()[0] or 0) for g in groups)
+
+    rows = []
+    for k in (1, 2, 4, 8, 16):
+        staged, fused = moved(k, "materialised"), moved(k, "fused")
+        rows.append((k, staged, fused, round(1 - fused / staged, 6) if staged else 0.0))
+    return spark.createDataFrame(rows, "k int, staged long, fused long, saved double")
 
-# The large pipeline: over forty components, five tables and a text branch
 
-BIG_MAPS = 6
+# The large pipeline: over forty components, five tables and a text branch
 
 
 def big_pipeline(spark: SparkSession, sf_dir: str) -> pipeline.Pipeline:
@@ -459,10 +514,19 @@ def big_pipeline(spark: SparkSession, sf_dir: str) -> pipeline.Pipeline:
     P = pipeline
     t = partial(table, spark, sf_dir)
 
-    def maps_(name: str, first) -> P.Chain:
-        chain = first | P.Map(lambda d: d, f"{name}0")
-        for i in range(1, BIG_MAPS):
-            chain = chain | P.Map(lambda d: d, f"{name}{i}")
+    def maps_(name: str, first, key: str) -> P.Chain:
+        """Small components that check and tidy a stream by its key."""
+        small = (
+            lambda d: d.where(F.col(key).isNotNull()),
+            lambda d: d.withColumn(key, F.col(key).cast("long")),
+            lambda d: d.withColumn("valid", F.col(key) >= 0),
+            lambda d: d.where("valid"),
+            lambda d: d.drop("valid"),
+            lambda d: d.select(key, *(c for c in d.columns if c != key)),
+        )
+        chain = first
+        for i, f in enumerate(small):
+            chain = chain | P.Map(f, f"{name}{i}")
         return chain
 
     def scan(name: str, key: str, how: str = "inner") -> P.Join:
@@ -473,13 +537,13 @@ def big_pipeline(spark: SparkSession, sf_dir: str) -> pipeline.Pipeline:
     p = P.Sort("l_partkey", name="Sp").pulled()
     o = P.Sort("l_orderkey", name="So").pulled()
     d = P.Sort("nation", name="Sd").pulled()
-    cust = maps_("cust", P.Source(t("customer").select(F.col("c_custkey").alias("c_custkey"), F.col("c_nationkey").alias("nation")), "customer")) | c.input
+    cust = maps_("cust", P.Source(t("customer").select(F.col("c_custkey").alias("c_custkey"), F.col("c_nationkey").alias("nation")), "customer"), "c_custkey") | c.input
     ords = P.Source(t("orders").select(F.col("o_custkey").alias("c_custkey"), F.col("o_orderkey").alias("l_orderkey"), F.year("o_orderdate").alias("year")), "orders") | (j1 := scan("co1", "c_custkey"))
-    ords = maps_("ord", ords) | o.input
-    supp = maps_("supp", P.Source(t("supplier").select(F.col("s_suppkey").alias("l_suppkey")), "supplier")) | s.input
-    part = maps_("part", P.Source(t("part").where("p_size > 10").select(F.col("p_partkey").alias("l_partkey")), "part")) | p.input
+    ords = maps_("ord", ords, "l_orderkey") | o.input
+    supp = maps_("supp", P.Source(t("supplier").select(F.col("s_suppkey").alias("l_suppkey")), "supplier"), "l_suppkey") | s.input
+    part = maps_("part", P.Source(t("part").where("p_size > 10").select(F.col("p_partkey").alias("l_partkey")), "part"), "l_partkey") | p.input
     docs = P.Source(t("documents").select((F.col("doc_id") % 25).cast("int").alias("nation"), F.size(F.split("text", " ")).cast("long").alias("tokens")), "documents")
-    text = maps_("text", docs) | P.Map(lambda x: x.groupBy("nation").agg(F.sum("tokens").alias("doc_tokens")), "count") | d.input
+    text = maps_("text", docs, "nation") | P.Map(lambda x: x.groupBy("nation").agg(F.sum("tokens").alias("doc_tokens")), "count") | d.input
     money = (F.col("l_extendedprice").cast("decimal(18,2)") * (F.lit(1).cast("decimal(3,0)") - F.col("l_discount").cast("decimal(4,2)"))).cast("decimal(18,4)")
     line = P.Source(t("lineitem").select("l_orderkey", "l_partkey", "l_suppkey", money.alias("revenue")), "lineitem") | (j2 := scan("co2", "l_orderkey")) | P.Sort("l_partkey", name="S5") | (j3 := scan("co3", "l_partkey"))
     line = line | P.Sort("l_suppkey", name="S6") | (j4 := scan("co4", "l_suppkey")) | P.Map(lambda x: x.groupBy("nation", "year").agg(F.sum("revenue").cast("decimal(18,4)").alias("revenue")), "sum")
