@@ -182,3 +182,32 @@ def test_long_texts_are_cut_in_stretches(monkeypatch):
     monkeypatch.setattr(suffix_dedup, "STRETCH", 700)
     windows = lambda runs: {(s, p) for a, z, p in runs for s in range(a, z + 1)}
     assert windows({(a, z, p) for _, a, z, p, _, _ in suffix_dedup.text_runs([x])}) == windows(whole)
+
+
+def test_equal_rows_go_into_the_trie_in_place():
+    trie = exact_dedup.OwnerTrie(True, 1 << 60)
+    for k in range(80_000):
+        trie.insert(b"one text", k, 1, [(k, k)])
+    ((text, best, n, tags),) = trie.owners()
+    assert (text, best, n, len(tags)) == (b"one text", 79_999, 80_000, 80_000)
+
+
+def test_columns_named_like_ours_survive(spark):
+    rows = [(1, "a b c d e f g"), (2, "A b c d e f g"), (2, "z"), (None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("_row", F.lit(77)).withColumn("row", F.lit("mine")).withColumn("Row_", F.lit(0))
+    for out in (exact_dedup.deduplicated(docs), near_dedup.deduplicated(docs), exact_dedup.deduplicated(docs.where("text = 'z'")), near_dedup.deduplicated(docs.where("text = 'z'"))):
+        assert out.columns == docs.columns
+        got = out.collect()
+        assert got and all((r._row, r.row, r.Row_) == (77, "mine", 0) for r in got)
+
+
+def test_small_sets_are_found(spark):
+    """Sets of fewer than 50 shingles, whose densified bins repeat: every pair at the threshold is linked."""
+    r = random.Random(9)
+    rows = []
+    for k in range(150):
+        base = [f"q{k}x{i}" for i in range(r.randint(6, 45))]
+        near = base[:-1] if len(base) > 9 else base
+        rows += [(2 * k, " ".join(base)), (2 * k + 1, " ".join(near))]
+    got = {x.doc_id: (x.n_shingles, x.component_id) for x in near_dedup.components_of(frame(spark, rows).select("doc_id", "text"), 2).collect()}
+    assert got == brute_components(rows, 2)

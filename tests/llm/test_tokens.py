@@ -133,3 +133,40 @@ def test_rollup_follows_inserts_revisions_and_deletes(spark):
     assert totals(store)[("a", "en", "v2")] == (1, n("one two")) and len(totals(store)) == 5
     store.apply(4, spark.createDataFrame([(2, "back", "a", "en", False)], schema), VOCAB, "v1")
     assert totals(store)[("a", "en", "v1")] == (1, n("back"))
+
+
+def test_rollup_goes_by_the_order_of_commits(spark):
+    schema = "doc_id long, text string, source string, lang string, deleted boolean"
+    store = token_counts.Rollup(spark)
+    n = lambda t: len(ids(t)) - 1
+    one = lambda t, deleted=False: spark.createDataFrame([(1, t, "a", "en", deleted)], schema)
+    for batch, text in ((7, "ten words of it here"), (5, "four"), (8, "six words")):
+        store.apply(batch, one(text), VOCAB, "v1")
+    assert totals(store) == {("a", "en", "v1"): (1, n("six words"))}
+    store.apply(9, one("six words"), VOCAB, "v2")
+    store.apply(10, spark.createDataFrame([], schema), VOCAB, "v1")
+    assert len(totals(store)) == 2
+    store.apply(1, one(None, True), VOCAB, "v2")  # a delete ends every version's count
+    assert totals(store) == {}
+
+
+def test_registered_counts_against_brute_force(spark):
+    import re
+
+    import pyarrow.parquet as pq
+
+    from pipeflow.llm import queries
+
+    sf = "/root/testdata/sf0.001"
+    docs, marks = (pq.read_table(f"{sf}/{t}.parquet").to_pylist() for t in ("documents", "labels"))
+    poor, toxic = {m["doc_id"] for m in marks if m["quality"] == 0}, {m["doc_id"] for m in marks if m["toxic"] == 1}
+    want = {}
+    for d in docs:
+        if d["doc_id"] in toxic:
+            continue
+        text = re.sub("[0-9]+", "0", d["text"]) if d["doc_id"] in poor else d["text"]
+        key = (d["source"], d["lang"], "word_bpe_49k")
+        a, b = want.get(key, (0, 0))
+        want[key] = (a + 1, b + len(ids(text)) - 1)
+    got = {(r.source, r.lang, r.tokenizer): (r.documents, r.tokens) for r in queries.op4_token_counts(spark, sf).collect()}
+    assert got == want
