@@ -24,3 +24,13 @@ def test_batches_that_run_again_replace_themselves(spark, tmp_path):
     spark.range(10).write.parquet(folder)
     parts = streaming.per_batch(streaming.source(spark, folder), lambda b, i: b.groupBy().count(), "count long, batch int")
     assert [r["count"] for r in parts.collect()] == [10]
+
+
+def test_a_stream_restarts_from_its_checkpoint(spark, tmp_path):
+    folder, out, state = (str(tmp_path / x) for x in ("in", "out", "state"))
+    spark.range(10).write.parquet(folder)
+    assert streaming.resume(streaming.source(spark, folder), out, state) == 10
+    spark.range(10, 15).write.mode("append").parquet(folder)
+    assert streaming.resume(streaming.source(spark, folder), out, state) == 5
+    assert streaming.resume(streaming.source(spark, folder), out, state) == 0
+    assert sorted(r.id for r in spark.read.parquet(out).collect()) == list(range(15))
