@@ -30,18 +30,23 @@ def merge_runs(runs: DataFrame, fan_in: int) -> DataFrame:
     return runs.withColumn("run_id", div(F.col("run_id"), fan_in))
 
 
-def external_sort(s: DataFrame, key: list[str], m: int, fan_in: int) -> DataFrame:
+def external_sort(s: DataFrame, key: list[str], m: int, fan_in: int, stored: bool = True) -> DataFrame:
     """The passes one after another, each stored as the real thing would. s has pos.
 
     Passes with many runs deal whole runs to tasks. The last one leaves a single run: it is dealt by ranges of the key, so
-    that each task merges its slice of all runs, and comes out in order from partition to partition.
+    that each task merges its slice of all runs, and comes out in order from partition to partition; unless `stored`, it
+    is left to its reader to store.
     """
     n = s.count()
     out = materialise(in_runs(form_runs(s, m), key), "runs")
     passes = external_sort_traffic(n, m, fan_in)[1]
     for k in range(passes):
         merged = merge_runs(out, fan_in)
-        out = materialise(in_runs(merged, key) if k < passes - 1 else merged.repartitionByRange(partitions(s.sparkSession), *key).sortWithinPartitions(*key), "runs")
+        if k < passes - 1:
+            out = materialise(in_runs(merged, key), "runs")
+        else:
+            out = merged.repartitionByRange(partitions(s.sparkSession), *key).sortWithinPartitions(*key)
+            out = materialise(out, "runs") if stored else out
     return out
 
 

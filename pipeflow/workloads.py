@@ -365,8 +365,8 @@ def merge_pass1(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("external_sort_lineitem", runs_sql(10**12))
 def external_sort_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All passes; the one run that is left gets its positions by range, not in a window over everything."""
-    out = extsort.external_sort(arrivals(spark, sf_dir), LINE_KEY, 1000, 4)
-    return with_positions(out.drop("pos"), *LINE_KEY).select("run_id", F.col("pos").alias("pos_in_run"), *LINE_OUT)
+    out = extsort.external_sort(arrivals(spark, sf_dir), LINE_KEY, 1000, 4, stored=False)
+    return numbered(out.drop("pos")).select("run_id", F.col("pos").alias("pos_in_run"), *LINE_OUT)
 
 
 @query("run_stats_lineitem", f"{_ARRIVE} SELECT CAST(pos // 1000 AS BIGINT) AS run_id, min(l_partkey) AS low, max(l_partkey) AS high, count(*) AS items FROM a GROUP BY 1")
