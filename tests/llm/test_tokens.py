@@ -100,18 +100,47 @@ def best_fit(sizes, capacity):
     return len(gaps)
 
 
-@pytest.mark.parametrize("seed", range(5))
-def test_plan_is_best_fit(seed):
+@pytest.mark.parametrize("seed", range(20))
+def test_brackets_are_paired_as_a_stack_pairs_them(seed):
     r = random.Random(seed)
-    sizes = [r.choice((r.randint(1, 100), r.randint(1, 20), 33)) for _ in range(400)]
-    p = packing.plan(np.bincount(sizes, minlength=101), 100)
-    assert p.n_sequences <= best_fit(sizes, 100) + 1
-    ranked = sorted(sizes)
-    at = np.searchsorted(p.first, np.arange(400), side="right") - 1
-    seq, off = p.sequence[at] + np.arange(400) - p.first[at], p.offset[at]
-    for q in range(p.n_sequences):
-        spans = sorted((off[i], ranked[i]) for i in np.flatnonzero(seq == q))
+    closes = np.array([r.random() < 0.6 for _ in range(60)])
+    brackets = np.array([0 if c else r.randint(1, 4) for c in closes])
+    stack, want = [], []
+    for i, (c, n) in enumerate(zip(closes, brackets, strict=True)):
+        stack += [i] * n
+        want.append(stack.pop() if c and stack else -1)
+    assert packing.pairs(closes, brackets)[0].tolist() == want
+
+
+def packed_sizes(spark, sizes, capacity, span):
+    cut = spark.createDataFrame([(k, 0, 0, n, 0) for k, n in enumerate(sizes)], packing.PIECES)
+    return packing.place(cut, capacity, span).collect()
+
+
+@pytest.mark.parametrize(("seed", "span"), [(0, 1 << 18), (1, 60), (2, 25)])
+def test_sweeps_are_best_fit(spark, seed, span):
+    r = random.Random(seed)
+    sizes = [r.choice((r.randint(1, 100), r.randint(1, 20), 33)) for _ in range(250)]
+    got = packed_sizes(spark, sizes, 100, span)
+    by = {}
+    for x in got:
+        by.setdefault(x.sequence_id, []).append((x.offset, x.length))
+    assert sorted(x.doc_id for x in got) == list(range(250)) and all(sizes[x.doc_id] == x.length for x in got)
+    for spans in by.values():
+        spans.sort()
         assert [o for o, _ in spans] == [0, *np.cumsum([n for _, n in spans])[:-1]] and sum(n for _, n in spans) <= 100
+    assert len(by) <= best_fit(sizes, 100) + 1
+
+
+def test_ranges_do_not_change_the_packing(spark):
+    r = random.Random(9)
+    sizes = [51] * 60 + [r.randint(1, 60) for _ in range(60)] + [1] * 60
+    one, many = (sorted((x.sequence_id, x.offset, x.length) for x in packed_sizes(spark, sizes, 100, span)) for span in (1 << 18, 20))
+    assert one == many
+
+
+def test_pieces_of_more_than_half_get_a_sequence_each(spark):
+    assert len({x.sequence_id for x in packed_sizes(spark, [60] * 40, 100, 15)}) == 40
 
 
 def totals(store):
