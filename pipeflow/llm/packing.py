@@ -153,7 +153,7 @@ def matched(sizes: DataFrame, capacity: int = CAPACITY, span: int = RANGE) -> Da
     while any(s <= top for s in counts):
         top = max(s for s in counts if s <= top)
         least = min(s for s in counts if 2 * s > top)
-        n, tokens, largest = sum(c for s, c in counts.items() if least <= s <= top), 0, top
+        n, tokens, largest = sum(c for s, c in counts.items() if least <= s <= top), sum(s * c for s, c in counts.items() if least <= s <= top), top
         waiting = sizes.where(F.col("length").between(least, top))
         bottom = least
         while n:

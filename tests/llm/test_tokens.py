@@ -143,6 +143,11 @@ def test_pieces_of_more_than_half_get_a_sequence_each(spark):
     assert len({x.sequence_id for x in packed_sizes(spark, [60] * 40, 100, 15)}) == 40
 
 
+def test_a_class_that_finds_no_gap_opens_sequences(spark):
+    got = packed_sizes(spark, [76] * 20 + [25] * 12, 100, 15)
+    assert len(got) == 32 and len({x.sequence_id for x in got}) == 23
+
+
 def totals(store):
     return {(r.source, r.lang, r.tokenizer): (r.documents, r.tokens) for r in store.totals().collect()}
 
