@@ -145,6 +145,7 @@ def matched(sizes: DataFrame, capacity: int = CAPACITY, span: int = RANGE) -> Da
     spark = sizes.sparkSession
     counts = dict(sorted((r["length"], r["count"]) for r in sizes.groupBy("length").count().collect()))  # at most `capacity` rows
     opened = -(-sum(s * n for s, n in counts.items()) // capacity)  # no packing has fewer
+    smallest = min(counts, default=1)
 
     def fresh(first: int, n: int) -> DataFrame:
         return spark.range(first, first + n).select(F.col("id").alias("sequence_id"), F.lit(capacity).cast("long").alias("gap"))
@@ -184,7 +185,7 @@ def matched(sizes: DataFrame, capacity: int = CAPACITY, span: int = RANGE) -> Da
                 taken = taken.unionByName(rest.where("sequence_id is not null").select("sequence_id", "length"))
             n, tokens, least, largest = (0, 0, 0, 0) if ranges > 1 and late is None else _waiting(rest)
             waiting = rest.where("row is not null and sequence_id is null").select("row", "length")
-            gaps = saved(gaps.unionByName(taken.select("sequence_id", (-F.col("length")).cast("long").alias("gap"))).groupBy("sequence_id").agg(F.sum("gap").alias("gap")).where("gap > 0"), "gaps")
+            gaps = saved(gaps.unionByName(taken.select("sequence_id", (-F.col("length")).cast("long").alias("gap"))).groupBy("sequence_id").agg(F.sum("gap").alias("gap")).where(F.col("gap") >= smallest), "gaps")  # smaller ones hold nothing that is to come
             old.append(gaps)
             for table in old[:-1]:
                 discard(table)
