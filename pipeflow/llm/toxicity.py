@@ -15,7 +15,7 @@ Null and empty texts are one window of padding and get a score too. Null ids and
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 from itertools import islice
 
@@ -203,18 +203,20 @@ def window_starts(n: int) -> np.ndarray:
     return np.append(at, n - WINDOW)
 
 
-def _train(network: Network, docs: list[list[int]], slots: list[tuple[int, list[int], list[int]]], y: np.ndarray, epochs: int, rate: float, seed: int) -> None:
-    """docs: word numbers of each document; slots: of each word number."""
+def training_slots(words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """word_slots of words that aren't empty, one row a word: word row and beginnings; trigram rows, padded with 0; what a trigram counts, padding 0."""
+    word, flat, counts, begins = all_slots(words)
+    inside = np.arange(counts.max()) < counts[:, None]
+    grams, share = np.zeros(inside.shape, np.int32), np.zeros(inside.shape, np.float32)
+    grams[inside], share[inside] = flat, np.repeat(1 / counts, counts)
+    return np.column_stack([word, begins]), grams, share[:, :, None]
+
+
+def _train(network: Network, arrays: list[np.ndarray], words: tuple[np.ndarray, np.ndarray, np.ndarray], y: np.ndarray, epochs: int, rate: float, seed: int) -> None:
+    """arrays: word numbers of each document; words: training_slots by word number."""
     g = np.random.default_rng(seed)
-    arrays = [np.array(d, np.int64) for d in docs]
-    width = max(len(s[1]) for s in slots)
-    grams = np.zeros((len(slots), width), np.int32)
-    share = np.zeros((len(slots), width, 1), np.float32)
-    for i, (_, c, _) in enumerate(slots):
-        grams[i, : len(c)] = c
-        share[i, : len(c)] = 1 / len(c)
-    rows = np.array([[s[0], *s[2]] for s in slots])  # the word's own row, then its beginnings'
-    del docs, slots  # the arrays take a tenth of them
+    rows, grams, share = words
+    width = grams.shape[1]
     seen = np.zeros(2 * WORD_ROWS, np.int64)
     for d in arrays:
         seen[np.unique(rows[d])] += 1
@@ -299,14 +301,16 @@ def _row_odds(docs: list[np.ndarray], y: np.ndarray, rows: np.ndarray) -> np.nda
     return np.where((z > TELLING) & (odds > LEAST_ODDS) & (seen[1] >= SEEN), odds, 0)
 
 
-def fit_texts(texts: list[bytes], y: np.ndarray, epochs: int = 4, rate: float = 0.01, seed: int = 0) -> Network:
+def fit_texts(texts: Iterable[bytes], y: np.ndarray, epochs: int = 4, rate: float = 0.01, seed: int = 0) -> Network:
+    """texts are read once, so that a text needn't be held beside its numbers; y: their labels."""
     network = Network.fresh(seed)
-    if not len(texts) or len(set(y.tolist())) < 2:
+    if len(set(y.tolist())) < 2:
         return network
     numbers: dict[bytes, int] = {}
-    docs = [[numbers.setdefault(word_key(w), len(numbers)) for w in tokens(t)] for t in texts]
-    numbers.setdefault(b"", len(numbers))
-    _train(network, docs, [word_slots(w) for w in numbers], y, epochs, rate, seed)
+    arrays = [np.array([numbers.setdefault(word_key(w), len(numbers)) for w in tokens(t)], np.int32) for t in texts]
+    words = training_slots(list(numbers) or [b"-"])
+    del numbers
+    _train(network, arrays, words, y, epochs, rate, seed)
     return network
 
 
@@ -317,7 +321,9 @@ def fit(docs: DataFrame, marks: DataFrame, most: int = 2000, **options) -> Netwo
     # `most` bounds both sides, so they are broadcast
     rows = docs.select("doc_id", "text").join(F.broadcast(a.unionByName(b)), "doc_id").select("text", "toxic", F.xxhash64("doc_id").alias("h")).collect()
     rows.sort(key=lambda r: (r.h, r.toxic))
-    return fit_texts([(r.text or "").encode() for r in rows], np.array([r.toxic for r in rows], np.float32), **options)
+    y = np.array([r.toxic for r in rows], np.float32)
+    rows.reverse()
+    return fit_texts(((rows.pop().text or "").encode() for _ in range(len(rows))), y, **options)
 
 
 class Scorer:

@@ -136,6 +136,20 @@ def test_all_of_a_long_word_is_read(letters):
     assert all(x.startswith(some[i : i + 5].encode()) for i, x in enumerate(read))
 
 
+def test_training_inputs_are_those_of_single_words():
+    words = [b"a", b"ab", "天地".encode(), b"wretched", b"x" * 24]
+    rows, grams, share = toxicity.training_slots(words)
+    for i, x in enumerate(words):
+        own, tri, begin = toxicity.word_slots(x)
+        assert rows[i].tolist() == [own, *begin] and grams[i, : len(tri)].tolist() == tri
+        assert np.allclose(share[i, : len(tri), 0], 1 / len(tri)) and not share[i, len(tri) :].any()
+
+
+def test_training_on_empty_texts_only():
+    net = toxicity.fit_texts(iter([b"", b" "]), np.array([0, 1], np.float32))
+    assert np.isfinite(toxicity.Scorer(net).scores([b"", b"some words"])).all()
+
+
 def test_abuse_inside_a_long_word_is_found():
     texts = [clean(40).encode() for _ in range(120)] + [toxic(40).encode() for _ in range(60)]
     net = toxicity.fit_texts(texts, np.array([0] * 120 + [1] * 60, np.float32))
