@@ -39,18 +39,23 @@ def row_major(df: DataFrame, n: int, parts: int | None = None) -> DataFrame:
     return df.repartitionById(k, div(F.col("tgt"), block).cast("int")).sortWithinPartitions("tgt")
 
 
+def triples(a: DataFrame, f: CellMap, off_grid: str = "null", how: str = "merge", parts: int | None = None) -> DataFrame:
+    """(tgt, v) as the first sort's merge hands them over, before the last sort."""
+    p = _kept(pairs(a.sparkSession, f, parts), off_grid)
+    # off-grid cells don't travel to one partition: they need no partner
+    met = p.where("src is not null").join(a.withColumnRenamed("cell", "src").hint(how), "src", "left").select("tgt", "v")
+    if off_grid == "null":
+        met = met.unionByName(p.where("src is null").select("tgt", F.lit(None).cast(a.schema["v"].dataType).alias("v")))
+    return met
+
+
 def fused(a: DataFrame, f: CellMap, off_grid: str = "null", how: str = "merge", parts: int | None = None) -> DataFrame:
     """The five steps as one lazy plan: two exchanges are the two sorts' runs, everything else is fused.
 
     A source that save_clustered() stored brings its order along and isn't exchanged. A source cell that very many
     targets share makes a hot key: adaptive execution splits it, since both sides are plain exchanges.
     """
-    p = _kept(pairs(a.sparkSession, f, parts), off_grid)
-    # off-grid cells don't travel to one partition: they need no partner
-    met = p.where("src is not null").join(a.withColumnRenamed("cell", "src").hint(how), "src", "left").select("tgt", "v")
-    if off_grid == "null":
-        met = met.unionByName(p.where("src is null").select("tgt", F.lit(None).cast(a.schema["v"].dataType).alias("v")))
-    return row_major(met, f.target.n, parts)
+    return row_major(triples(a, f, off_grid, how, parts), f.target.n, parts)
 
 
 def direct(a: DataFrame, f: CellMap, off_grid: str = "null") -> DataFrame:
@@ -129,12 +134,20 @@ def tile_pruned(a: DataFrame, f: CellMap, tile: int) -> DataFrame:
 
 
 def align(grids: list[tuple[DataFrame, CellMap]]) -> DataFrame:
-    """(cell, v1 .. vk): several grids brought to one target shape and joined cell by cell."""
+    """(cell, v1 .. vk): several grids brought to one target shape, one row a target cell, null where a grid has no value.
+
+    Each grid's triples carry its own column; together they are exchanged by cell once, and meet there. A source with
+    several rows for one cell contributes any one of their values.
+    """
+    names = [f"v{k}" for k in range(1, len(grids) + 1)]
+    types = [a.schema["v"].dataType for a, _ in grids]
     out = None
-    for k, (a, f) in enumerate(grids, 1):
-        one = fused(a, f).select(F.col("tgt").alias("cell"), F.col("v").alias(f"v{k}"))
-        out = one if out is None else out.join(one, "cell", "full")
-    return out
+    for k, (a, f) in enumerate(grids):
+        own = [F.col("v").alias(n) if i == k else F.lit(None).cast(t).alias(n) for i, (n, t) in enumerate(zip(names, types, strict=True))]
+        one = triples(a, f).select(F.col("tgt").alias("cell"), *own)
+        out = one if out is None else out.unionByName(one)
+    # without the repartition, an aggregation before the exchange would hash every triple and merge none
+    return out.repartition("cell").groupBy("cell").agg(*[F.any_value(n, ignoreNulls=True).alias(n) for n in names])
 
 
 def write_grid(grid: DataFrame, path: str) -> None:

@@ -51,13 +51,25 @@ def within(left: DataFrame, right: DataFrame, key: str, left_s: str, right_s: st
     return a.join(b, [key, "_slot"]).where((F.col(right_s) >= F.col(left_s)) & (F.col(right_s) < F.col(left_s) + seconds)).drop("_slot")
 
 
-def asof(left: DataFrame, right: DataFrame, key: str, order: str, value: str, out: str) -> DataFrame:
-    """left's rows with the value of the last right row of the same key at or before theirs. One shuffle: union and window."""
+def asof(left: DataFrame, right: DataFrame, key: str, order: str, value: str, out: str, slot: Column | None = None) -> DataFrame:
+    """left's rows with the value of the last right row of the same key at or before theirs. One shuffle: union and window.
+
+    A key's rows make one task. Where a key may be hot, slot, an expression that never falls as `order` grows, cuts them:
+    a slot's rows meet by themselves, and what earlier slots end with, one row a key and slot, is handed on to it.
+    A null key or place has no partner; null values are passed over.
+    """
     l_ = left.withColumn("_v", F.lit(None).cast(right.schema[value].dataType)).withColumn("_side", F.lit(1))
     blank = [F.lit(None).cast(f.dataType).alias(f.name) for f in left.schema.fields if f.name not in (key, order)]
-    r_ = right.select(key, order, *blank, F.col(value).alias("_v"), F.lit(0).alias("_side"))
-    w = Window.partitionBy(key).orderBy(order, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return l_.unionByName(r_).withColumn(out, F.last("_v", ignorenulls=True).over(w)).where("_side = 1").drop("_v", "_side")
+    r_ = right.where(F.col(key).isNotNull() & F.col(order).isNotNull()).select(key, order, *blank, F.col(value).alias("_v"), F.lit(0).alias("_side"))
+    line = l_.unionByName(r_).withColumn("_slot", F.lit(0) if slot is None else slot)
+    w = Window.partitionBy(key, "_slot").orderBy(order, "_side").rowsBetween(Window.unboundedPreceding, 0)
+    met = line.withColumn(out, F.last("_v", ignorenulls=True).over(w)).where("_side = 1").drop("_v", "_side")
+    if slot is None:
+        return met.drop("_slot")
+    ends = line.groupBy(key, "_slot").agg(F.max_by(F.when(F.col("_v").isNotNull(), F.col("_v")), F.when(F.col("_v").isNotNull(), F.col(order))).alias("_end"))
+    earlier = Window.partitionBy(key).orderBy("_slot").rowsBetween(Window.unboundedPreceding, -1)
+    ends = ends.select(key, "_slot", F.last("_end", ignorenulls=True).over(earlier).alias("_end"))
+    return met.join(ends.where("_end is not null"), [key, "_slot"], "left").withColumn(out, F.coalesce(out, "_end")).select(*left.columns, out)
 
 
 def star(fact: DataFrame, dims: list[tuple[DataFrame, str]]) -> DataFrame:

@@ -122,7 +122,7 @@ def join_interval(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("join_asof", "SELECT e.event_id, c.event_id AS last_click FROM (SELECT * FROM events WHERE event_type = 'error') e ASOF LEFT JOIN (SELECT * FROM events WHERE event_type = 'click') c ON e.user_id = c.user_id AND e.ts >= c.ts")
 def join_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
     e = table(spark, sf_dir, "events").select("event_id", "user_id", "ts", "event_type")
-    out = joins.asof(e.where("event_type = 'error'"), e.where("event_type = 'click'"), "user_id", "ts", "event_id", "last_click")
+    out = joins.asof(e.where("event_type = 'error'"), e.where("event_type = 'click'"), "user_id", "ts", "event_id", "last_click", F.to_date("ts"))
     return out.select("event_id", "last_click")
 
 

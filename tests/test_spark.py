@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from pipeflow.grid import mappings as maps
 from pipeflow.grid import regrid
 from pipeflow.grid.shape import GridShape, to_cells, to_tiles
+from pipeflow.operators import joins
 from pipeflow.plans import cost, memory, metrics, parallel, phases, pipeline, progress
 from pipeflow.plans.graph import FlowGraphError, delay_graph, regrid_graph
 from pipeflow.session import fresh_path
@@ -221,3 +222,31 @@ def test_reverse_twice(spark):
     s = OrderedStream(spark.range(20).select(F.col("id").alias("pos"), (F.col("id") * 2).alias("x")), ("pos",))
     back = s.reverse(20).reverse(20).delay().df
     assert sorted(map(tuple, back.collect())) == [(i, 2 * i) for i in range(20)]
+
+
+@pytest.mark.parametrize("width", [None, 1, 7, 1000])
+def test_asof_against_loops(spark, width):
+    r = random.Random(3)
+    keys = [0] * 6 + [1, 2, None]  # one key holds most rows
+    left = [(i, r.choice(keys), r.choice([None, *range(60)]), "x") for i in range(150)]
+    right = [(r.choice(keys), t, r.choice([None, t * 10])) for t in r.sample(range(60), 40)] + [(0, None, 5)]
+    a = spark.createDataFrame(left, "id long, k long, t long, note string")
+    b = spark.createDataFrame(right, "k long, t long, v long")
+    slot = None if width is None else F.floor(F.col("t") / width)
+    got = joins.asof(a, b, "k", "t", "v", "last", slot)
+    assert got.columns == ["id", "k", "t", "note", "last"]
+    want = {}
+    for i, k, t, _ in left:
+        met = [(s, v) for q, s, v in right if None not in (k, t, s, v) and q == k and s <= t]
+        want[i] = max(met)[1] if met else None
+    assert {x.id: x.last for x in got.collect()} == want
+
+
+def test_align_types_and_missing_cells(spark):
+    s = GridShape(7, 4)
+    a, b = grid(spark, s), spark.range(0, s.n, 2).select(F.col("id").alias("cell"), F.col("id").cast("string").alias("v"))
+    crop = maps.CellMap("crop", s, s, lambda t: F.when(t < 10, t))
+    out = regrid.align([(a, maps.rotate180(s)), (b, maps.identity(s)), (a, crop)])
+    assert out.schema["v2"].dataType.simpleString() == "string"
+    got = sorted((x.cell, x.v1, x.v2, x.v3) for x in out.collect())
+    assert got == [(c, (s.n - 1 - c) * 1.5, str(c) if c % 2 == 0 else None, c * 1.5 if c < 10 else None) for c in range(s.n)]
