@@ -37,6 +37,13 @@ def test_every_method_transposes(spark, name):
     assert values(METHODS[name](grid(spark, s), maps.transpose(s))) == want
 
 
+def test_direct_broadcasts_small_sources_only(spark):
+    def plan(s):
+        return regrid.direct(grid(spark, s), maps.transpose(s))._jdf.queryExecution().executedPlan().toString()
+
+    assert "BroadcastHashJoin" in plan(GridShape(100, 10)) and "Broadcast" not in plan(GridShape(100, 90_000))
+
+
 @pytest.mark.parametrize(("w", "h"), [(1, 1), (1, 5), (5, 1), (4, 4), (3, 0)])
 def test_edge_shapes(spark, w, h):
     s = GridShape(w, h)
