@@ -35,3 +35,16 @@ def test_query_against_sql(spark, con, name):
         assert sorted(got.columns) == sorted(want.columns) and len(got) == len(want)
         a, b = (df.where(df.notna(), None) for df in (got, want))
         assert rows(a) == rows(b)
+
+
+@pytest.mark.parametrize("name", ["progress_shares_events", "progress_curve_events", "progress_pace_events", "progress_pace_equal_events"])
+def test_runs_that_took_no_time(spark, tmp_path, name):
+    """User 1 has a run of 0 seconds beside others, user 2's largest run took 0 seconds, user 3's only run has no value."""
+    c = duckdb.connect()
+    log = [(1, 1, "view", 2.5), (1, 1, "click", 1.5), (1, 2, "view", 0.0), (2, 1, "view", 0.0), (2, 1, "error", 0.0), (2, 2, "click", 3.0), (3, 1, "view", None)]
+    rows_ = ", ".join(f"({i}, TIMESTAMP '2024-01-0{d} 10:00:0{i}', {u}, '{k}', {'NULL' if v is None else v})" for i, (u, d, k, v) in enumerate(log))
+    c.execute(f"copy (select event_id::bigint event_id, ts, user_id::bigint user_id, event_type, value::double as value from (values {rows_}) t(event_id, ts, user_id, event_type, value)) to '{tmp_path}/events.parquet'")
+    c.execute(f"create view events as select * from '{tmp_path}/events.parquet'")
+    # toPandas turns null and NaN into one; the rows themselves keep them apart
+    got = QUERIES[name](spark, str(tmp_path))
+    assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(map(str, c.sql(ORACLES[name]).select(*got.columns).fetchall()))
