@@ -48,3 +48,13 @@ def test_runs_that_took_no_time(spark, tmp_path, name):
     # toPandas turns null and NaN into one; the rows themselves keep them apart
     got = QUERIES[name](spark, str(tmp_path))
     assert sorted(map(str, (tuple(r) for r in got.collect()))) == sorted(map(str, c.sql(ORACLES[name]).select(*got.columns).fetchall()))
+
+
+#: Queries of examples whose data were once made up.
+ON_TABLES = ["fn_trig"]
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="the given tables aren't here")
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_examples_read_given_tables(spark, name):
+    assert QUERIES[name](spark, SF).inputFiles()
