@@ -257,3 +257,10 @@ def test_align_types_and_missing_cells(spark):
     assert out.schema["v2"].dataType.simpleString() == "string"
     got = sorted((x.cell, x.v1, x.v2, x.v3) for x in out.collect())
     assert got == [(c, (s.n - 1 - c) * 1.5, str(c) if c % 2 == 0 else None, c * 1.5 if c < 10 else None) for c in range(s.n)]
+
+
+def test_extrapolated_merges(spark):
+    """One pass by the published example; 125 runs by fives are three passes, though log(125) / log(5) lies above 3; one run needs none."""
+    jobs = spark.createDataFrame([(1e12, 1e9, 1e6), (125.0, 1.0, 0.2), (10.0, 100.0, 1.0)], "n double, m double, b double").withColumn("item", F.lit(1)).withColumn("speed", F.when(F.col("n") > 1e6, 1e8).otherwise(F.col("n") / 3600))
+    got = {r.runs: (r.merges, r.staged_h, r.fused_h, r.saved_h) for r in cost.extrapolate(jobs).collect()}
+    assert got == {1000: (1, 38.8889, 16.6667, 22.2222), 125: (3, 22, 14, 8), 1: (0, 10, 2, 8)}
