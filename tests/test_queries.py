@@ -51,7 +51,7 @@ def test_runs_that_took_no_time(spark, tmp_path, name):
 
 
 #: Queries of examples whose data were once made up.
-ON_TABLES = ["fn_trig", "cost_extrapolation", "memory_fig", "phases_example", "orders_example"]
+ON_TABLES = ["fn_trig", "cost_extrapolation", "memory_fig", "phases_example", "orders_example", "metadata_reach_example"]
 
 
 @pytest.mark.skipif(not os.path.isdir(SF), reason="the given tables aren't here")
