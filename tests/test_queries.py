@@ -58,3 +58,19 @@ ON_TABLES = ["fn_trig", "cost_extrapolation", "memory_fig", "phases_example", "o
 @pytest.mark.parametrize("name", ON_TABLES)
 def test_examples_read_given_tables(spark, name):
     assert QUERIES[name](spark, SF).inputFiles()
+
+
+@pytest.mark.parametrize("size", [20, 5])
+def test_traffic_of_odd_tables(spark, tmp_path, size):
+    """Keys that are null or negative, and with size 5 no part that is kept, so that nothing meets from there on."""
+    c = duckdb.connect()
+    tables = {
+        "customer": "select unnest([1, 2, -3, null])::bigint c_custkey, 4 c_nationkey", "orders": "select unnest([10, 11, -12, null])::bigint o_orderkey, unnest([1, 2, 2, 1])::bigint o_custkey, timestamp '2024-05-01' o_orderdate",
+        "supplier": "select unnest([7, -8])::bigint s_suppkey", "part": f"select unnest([5, 6, -1])::bigint p_partkey, {size} p_size", "documents": "select unnest([1, 26, -2, null])::bigint doc_id, 'a b c' as text",
+        "lineitem": "select unnest([10, 10, 11, -12])::bigint l_orderkey, unnest([5, 6, 9, 5])::bigint l_partkey, 7::bigint l_suppkey, 2.5::double l_extendedprice, 0.1::double l_discount",
+    }
+    for n, sql in tables.items():
+        c.execute(f"copy ({sql}) to '{tmp_path}/{n}.parquet'")
+        c.execute(f"create view {n} as select * from '{tmp_path}/{n}.parquet'")
+    got = QUERIES["big_pipeline_traffic"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == sorted(c.sql(ORACLES["big_pipeline_traffic"]).fetchall())
