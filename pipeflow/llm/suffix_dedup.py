@@ -14,6 +14,9 @@ the window; groups that are equal to that depth are exactly the repeated windows
 Each pass is a count by key with map-side sums and a join back; keys pair the anchor's hash with the digit's, 128 bits
 in all. No pass compares rows of a group with each other, and no group is gathered anywhere.
 
+Beside the bytes, `passages` finds by the same digits the texts that have a run of words in common with another one,
+however few bytes the run has: windows are then of words instead of bytes, and nothing is cut for them.
+
 Null texts are empty; texts shorter than the window keep every byte. Null ids and repeated rows are texts of their own.
 Other columns are not read.
 """
@@ -21,6 +24,8 @@ Other columns are not read.
 from __future__ import annotations
 
 import hashlib
+import re
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -28,11 +33,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pipeflow.llm.common import column, discard, map_slices, only_marked, raw_texts, release, saved, slices, without
+from pipeflow.llm.common import column, discard, map_slices, mixed, only_marked, raw_texts, release, saved, slices, without
 
 WINDOW, GRAM, BLOCK = 400, 145, 16
 OFFSETS = WINDOW - GRAM + 1  # 256
-GROUP, STRETCH = 1 << 16, 1 << 22
+GROUP, STRETCH, PIECE = 1 << 16, 1 << 22, 1 << 18
 TOP, LOW = np.uint64(0xFFFFFFFFFF000000), np.uint64(0xFFFFFF)
 
 
@@ -68,15 +73,15 @@ def sliding_least(a: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(cur[:m], cur[w - size : w - size + m])
 
 
-def runs(b: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, ...]:
+def runs(b: np.ndarray, ends: np.ndarray, window: int = WINDOW, gram: int = GRAM) -> tuple[np.ndarray, ...]:
     """Texts one after another in b, ends: their ends. (text, first window, last window, anchor, anchor's hash) of each run."""
-    if len(b) < WINDOW:
+    if len(b) < window:
         return (np.zeros(0, np.int64),) * 4 + (np.zeros(0, np.uint64),)
-    h = gram_hashes(b)
-    least = sliding_least((h & TOP) | np.arange(len(h), dtype=np.uint64), OFFSETS)
+    h = gram_hashes(b, gram)
+    least = sliding_least((h & TOP) | np.arange(len(h), dtype=np.uint64), window - gram + 1)
     anchor = (least & LOW).astype(np.int64)
     text = np.repeat(np.arange(len(ends)), np.diff(ends, prepend=0))[: len(anchor)]
-    start = np.flatnonzero(np.arange(len(anchor)) + WINDOW <= ends[text])
+    start = np.flatnonzero(np.arange(len(anchor)) + window <= ends[text])
     if not len(start):
         return (start,) * 4 + (h[:0],)
     anchor, text = anchor[start], text[start]
@@ -119,11 +124,11 @@ def text_runs(texts: list[bytes]):
 RUNS = "row long, first long, last long, anchor long, kh long, sp long"
 
 
-def all_runs(docs: DataFrame) -> DataFrame:
+def all_runs(docs: DataFrame, of=text_runs) -> DataFrame:
     def make():
         def one(part):
             ids = column(part, "row").to_pylist()
-            cols = list(zip(*text_runs(raw_texts(part)), strict=True)) or [[]] * 6
+            cols = list(zip(*of(raw_texts(part)), strict=True)) or [[]] * 6
             cols[0] = [ids[i] for i in cols[0]]
             return {n: pa.array(c, pa.int64()) for n, c in zip(("row", "first", "last", "anchor", "kh", "sp"), cols, strict=True)}
 
@@ -203,6 +208,105 @@ def repeated(docs: DataFrame) -> DataFrame:
     return saved(found.unionByName(from_blocks).unionByName(from_windows), "repeated")
 
 
+BLANKS = re.compile(rb"[\x20\x09-\x0D]")
+BLANK = np.array([c == 32 or 9 <= c <= 13 for c in range(256)])
+BYTES = mixed(np.arange(1, 257, dtype=np.uint64))
+BASE = 0x9E3779B97F4A7C15
+
+
+@cache
+def powers(bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first 2^bits powers of BASE and of its inverse."""
+    return tuple(np.cumprod(np.concatenate([[np.uint64(1)], np.full((1 << bits) - 1, x, np.uint64)])) for x in (BASE, pow(BASE, -1, 1 << 64)))
+
+
+def word_hashes(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of texts one after another, and the ends of each text's words."""
+    b = np.frombuffer(b" " + b" ".join(texts) + b" ", np.uint8)
+    edges = np.flatnonzero(np.diff(BLANK[b]))
+    first, last = edges[::2], edges[1::2]  # the byte before a word, and its last one
+    up, down = powers(max(17, len(b).bit_length()))
+    sums = np.cumsum(BYTES[b] * up[: len(b)])
+    ends = np.cumsum([len(x) + 1 for x in texts])
+    return mixed((sums[last] - sums[first]) * down[first]), np.searchsorted(first, ends)
+
+
+def long_word_hashes(raw: bytes) -> np.ndarray:
+    """Those of one text of any length: it is read in pieces that end at a blank; words longer than `PIECE` are hashed as a whole."""
+    out, at = [np.zeros(0, np.uint64)], 0
+    while at < len(raw):
+        found = BLANKS.search(raw, at + PIECE)
+        stop = found.start() if found else len(raw)
+        word = stop if stop - at <= PIECE else 1 + max(at - 1, *(raw.rfind(c, at, stop) for c in (b" ", b"\t", b"\n", b"\v", b"\f", b"\r")))
+        out.append(word_hashes([raw[at : word if stop - word > PIECE else stop]])[0])
+        if stop - word > PIECE:
+            out.append(mixed(np.array([xxhash.xxh3_64_intdigest(memoryview(raw)[word:stop])], np.uint64)))
+        at = stop
+    return np.concatenate(out)
+
+
+def word_runs(texts: list[bytes], window: int):
+    """As text_runs, but of words; the first digit is half a window long."""
+
+    def work(held: list[int], w: np.ndarray, ends: np.ndarray, shift: int = 0):
+        view, begin = memoryview(np.ascontiguousarray(w)).cast("B"), np.concatenate([[0], ends[:-1]])
+        for k, a, z, p, h in zip(*(x.tolist() for x in runs(w, ends, window, (window + 1) // 2)), strict=True):
+            to = shift - int(begin[k])
+            yield held[k], a + to, z + to, p + to, _signed(h), _signed(xxhash.xxh3_64_intdigest(view[8 * a : 8 * (z + window)]))
+
+    held, size = [], 0
+    for i, raw in enumerate(texts):
+        if len(raw) > PIECE:
+            w = long_word_hashes(raw)
+            for at in range(0, max(0, len(w) - window + 1), STRETCH):
+                part = w[at : at + STRETCH + window - 1]
+                yield from work([i], part, np.array([len(part)]), at)
+        elif len(raw) >= 2 * window - 1:
+            held.append(i)
+            size += len(raw)
+            if size >= GROUP:
+                yield from work(held, *word_hashes([texts[k] for k in held]))
+                held, size = [], 0
+    if held:
+        yield from work(held, *word_hashes([texts[k] for k in held]))
+
+
+WORD_WINDOWS = "row long, last_row long, kh long, o long, wh long"
+
+
+def passages(docs: DataFrame, words: int) -> DataFrame:
+    """docs (row, text), rows distinct -> row, of those with a run of so many words that stands in another row's text, too.
+
+    Runs of windows that two rows have settle most rows at once; single windows are compared only below the anchors of
+    those that are left.
+    """
+    spark = docs.sparkSession
+    anchors = saved(all_runs(docs, lambda texts: word_runs(texts, words)), "word_runs")
+    spans = saved(anchors.groupBy("kh", "sp").agg(F.min("row").alias("row"), F.max("row").alias("last_row"), F.min(F.struct("row", "first", "last", "anchor")).alias("rep")), "word_spans")
+    common = saved(spans.where("row < last_row").select("kh", "sp"), "word_common")
+    sure = saved(anchors.select("row", "kh", "sp").join(common, ["kh", "sp"]).select("row").distinct(), "word_sure")
+    discard(anchors)
+    release(spark)
+    rivals = saved(spans.groupBy("kh").agg(F.count("*").alias("n"), F.bool_or(F.col("row") == F.col("last_row")).alias("lone")).where("n > 1 and lone").select("kh"), "word_rivals")
+    spans_left = saved(spans.join(rivals, "kh").select("kh", "row", "last_row", "rep.first", "rep.last", "rep.anchor"), "word_left")
+    discard(spans)
+    left = saved(without(spans_left.where("row = last_row"), "row", sure).select("kh").distinct(), "word_open")
+    wants = spans_left.join(left, "kh")
+
+    def windows_of(row: int, raw: bytes, items: list):
+        w = long_word_hashes(raw)
+        for kh, last_row, first, last, anchor in items:
+            for at in range(first, last + 1):
+                yield row, last_row, kh, anchor - at, _signed(xxhash.xxh3_64_intdigest(w[at : at + words].tobytes()))
+
+    single = saved(with_texts(docs, wants.select("row", "kh", "last_row", "first", "last", "anchor"), windows_of, WORD_WINDOWS), "word_windows")
+    same = single.groupBy("kh", "o", "wh").agg(F.min("row").alias("a"), F.max("last_row").alias("z")).where("a < z").select("kh", "o", "wh")
+    more = single.where("row = last_row").join(same, ["kh", "o", "wh"]).select("row")
+    found = saved(sure.unionByName(more).distinct(), "passages")
+    release(spark)
+    return found
+
+
 def removed(items: list) -> list[tuple[int, int]]:
     """Maximal runs of bytes that the windows cover."""
     out: list[list[int]] = []
@@ -252,11 +356,17 @@ def _uncut(raw: list[bytes], keep: bool) -> dict:
     return {"n_bytes": n, "n_removed": zero, "n_spans": zero, "kept_sha256": pa.array([hashlib.sha256(x).hexdigest() for x in raw], pa.string()), "kept": pa.array([x.decode("utf-8", "replace") if keep else None for x in raw], pa.string())}
 
 
-def digest(docs: DataFrame) -> DataFrame:
-    """docs (doc_id, text) -> doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
+def digest(docs: DataFrame, words: int = 0) -> DataFrame:
+    """docs (doc_id, text) -> doc_id, n_bytes, n_removed, n_spans, kept_sha256; with words, shares_passage: whether so many words in a row stand in another row's text."""
     n, ids = docs.agg(F.count("*"), F.count_distinct("doc_id")).first()
-    names = ("n_bytes", "n_removed", "n_spans", "kept_sha256")
-    if n == ids:
-        return deduplicated(docs.select(F.col("doc_id").cast("long").alias("row"), "text"), texts=False).select(F.col("row").alias("doc_id"), *names)
-    rows = saved(docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long"), "text"), "rows")
-    return deduplicated(rows.select("row", "text"), texts=False).join(rows.select("row", "doc_id"), "row").select("doc_id", *names)
+    names = ["n_bytes", "n_removed", "n_spans", "kept_sha256"]
+    keyed = n == ids
+    rows = docs.select(F.col("doc_id").cast("long").alias("row"), "text") if keyed else saved(docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long"), "text"), "rows")
+    texts = rows.select("row", "text")
+    shared = passages(texts, words) if words else None
+    out = deduplicated(texts, texts=False)
+    if shared is not None:
+        out = out.join(shared.withColumn("shares_passage", F.lit(True)), "row", "left").withColumn("shares_passage", F.coalesce("shares_passage", F.lit(False)))
+        names.append("shares_passage")
+    out = out.withColumn("doc_id", F.col("row")) if keyed else out.join(rows.select("row", "doc_id"), "row")
+    return out.select("doc_id", *names)
